@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from edgefold.llm import token_files
+from edgefold.llm import chat, packing, token_files
 
 QUERIES = {
+    "op2_packing": packing.op2_packing,
     "op7_token_files": token_files.op7_token_files,
+    "op10_chat": chat.op10_chat,
 }
-ORACLE: dict[str, str] = {}
+ORACLE: dict[str, str] = {"op10_chat": chat.OP10_SQL}
