@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from edgefold.llm import chat, packing, token_files
+from edgefold.llm import chat, mixing, packing, simhash, token_files
 
 QUERIES = {
+    "op1_simhash": simhash.op1_simhash,
     "op2_packing": packing.op2_packing,
+    "op5_mixing": mixing.op5_mixing,
     "op7_token_files": token_files.op7_token_files,
     "op10_chat": chat.op10_chat,
 }
