@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from edgefold.llm import chat, mixing, packing, simhash, token_files
+from edgefold.llm import chat, language_id, mixing, packing, simhash, token_files, toxicity, weighted_sampling
 
 QUERIES = {
     "op1_simhash": simhash.op1_simhash,
     "op2_packing": packing.op2_packing,
+    "op4_fingerprints": weighted_sampling.op4_fingerprints,
     "op5_mixing": mixing.op5_mixing,
+    "op6_language_id": language_id.op6_language_id,
     "op7_token_files": token_files.op7_token_files,
+    "op9_toxicity": toxicity.op9_toxicity,
     "op10_chat": chat.op10_chat,
 }
 ORACLE: dict[str, str] = {"op10_chat": chat.OP10_SQL}
