@@ -9,7 +9,7 @@ Scoring is by word: each worker keeps the scores of words it has met. Training r
 a language, by hash of doc_id, and its `sample_words` most frequent words of these.
 
 Defined cases: a null text, or one without a letter, is `und` with score 0; without any document to learn from every
-prediction is `und`; rows that repeat an id are predicted each; an empty table gives no rows; other columns are ignored.
+prediction is `und`; documents without an id are predicted but not learned from; rows that repeat an id are predicted each; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations

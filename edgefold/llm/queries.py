@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from edgefold.llm import chat, language_id, mixing, packing, simhash, token_files, toxicity, weighted_sampling
+from edgefold.llm import chat, embedding_dedup, language_id, mixing, packing, simhash, token_files, toxicity, weighted_sampling
 
 QUERIES = {
     "op1_simhash": simhash.op1_simhash,
@@ -11,6 +11,7 @@ QUERIES = {
     "op5_mixing": mixing.op5_mixing,
     "op6_language_id": language_id.op6_language_id,
     "op7_token_files": token_files.op7_token_files,
+    "op8_embeddings": embedding_dedup.op8_embeddings,
     "op9_toxicity": toxicity.op9_toxicity,
     "op10_chat": chat.op10_chat,
 }

@@ -3,7 +3,8 @@
 Categories are predicted in a stated order. The first model sees the document's words; each later one also sees the
 probabilities of the categories before it. In training those probabilities are out-of-fold predictions (a document's
 comes from models that did not see it), so a later model learns how far to trust them; for prediction every model is
-fitted on the whole sample. A word's value is the log of one plus its count in the whole text.
+fitted on the whole sample. What a model sees are words and beginnings of words, so that inflected and compounded forms
+count; the value of each is the log of one plus its count in the whole text.
 
 Fitting takes at most `sample_docs` labelled documents, those with the least hash of doc_id; words and models are chosen
 on these alone. Prediction covers every document.
@@ -28,8 +29,10 @@ from pyspark.sql import functions as F
 
 from edgefold.llm.shared import long_id, prepare, table
 
-SAMPLE_DOCS = 6_000
+SAMPLE_DOCS = 4_000
+#: Words and beginnings of words that the models see.
 WORDS = 1_000
+STEMS = (4, 5, 6, 7, 8)
 FOLDS = 5
 PENALTY = 1.0
 #: Categories in the order of the chain; "low_quality" is 1 - quality.
@@ -42,25 +45,37 @@ def count_words(text: str | None) -> Counter:
     return Counter(_WORD.findall((text or "").lower()))
 
 
+def marks(words: Counter) -> Counter:
+    """Counts of words, and of their beginnings (with ^ before them)."""
+    out = Counter(words)
+    for w, n in words.items():
+        for k in STEMS:
+            if len(w) > k:
+                out["^" + w[:k]] += n
+    return out
+
+
 def fit_logistic(x: np.ndarray, y: np.ndarray, penalty: float = PENALTY, rounds: int = 200) -> np.ndarray:
     """Weights and, last, the intercept, which is not penalised; accelerated gradient descent with a safe step."""
-    a = np.hstack([x, np.ones((len(x), 1), dtype=x.dtype)])
+    a = np.hstack([x, np.ones((len(x), 1), dtype=x.dtype)]).astype(np.float32)
+    y = y.astype(np.float32)
     if len(y) == 0 or y.min() == y.max():
         w = np.zeros(a.shape[1])
         w[-1] = 30.0 if len(y) and y[0] > 0 else -30.0
         return w
-    v = np.ones(a.shape[1])
+    v = np.ones(a.shape[1], dtype=np.float32)
     for _ in range(20):
         v = a.T @ (a @ v)
         top = np.linalg.norm(v)
         v /= top
-    step, ridge = 1.0 / (0.25 * top + penalty), np.full(a.shape[1], penalty)
+    step, ridge = 1.0 / (0.25 * top + penalty), np.full(a.shape[1], penalty, dtype=np.float32)
     ridge[-1] = 0
-    w = z = np.zeros(a.shape[1])
+    step = np.float32(step)
+    w = z = np.zeros(a.shape[1], dtype=np.float32)
     for k in range(1, rounds + 1):
         p = 1 / (1 + np.exp(-np.clip(a @ z, -30, 30)))
         new = z - step * (a.T @ (p - y) + ridge * z)
-        z = new + (k - 1) / (k + 2) * (new - w)
+        z = new + np.float32((k - 1) / (k + 2)) * (new - w)
         w = new
     return w
 
@@ -77,7 +92,7 @@ class Chain:
 
     def matrix(self, counts: list[Counter]) -> np.ndarray:
         x = np.zeros((len(counts), len(self.words)), dtype=np.float32)
-        for i, c in enumerate(counts):
+        for i, c in enumerate(map(marks, counts)):
             for w in c.keys() & self.words.keys():
                 x[i, self.words[w]] = math.log1p(c[w])
         return x
@@ -94,7 +109,7 @@ def choose_words(counts: list[Counter], labels: np.ndarray, most: int) -> dict[s
     """Words whose presence tells most about a category: by the square of the difference over its variance."""
     n, seen = len(counts), Counter()
     by = [Counter() for _ in range(labels.shape[1])]
-    for c, row in zip(counts, labels, strict=True):
+    for c, row in zip(map(marks, counts), labels, strict=True):
         seen.update(c.keys())
         for k, value in enumerate(row):
             if value == 1:
