@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from edgefold.llm import chat, embedding_dedup, language_id, mixing, packing, simhash, token_files, toxicity, weighted_sampling
+from edgefold.llm import chat, embedding_dedup, language_id, mixing, packing, simhash, suffix_dedup, token_files, toxicity, weighted_sampling
 
 QUERIES = {
     "op1_simhash": simhash.op1_simhash,
     "op2_packing": packing.op2_packing,
+    "op3_suffix_array": suffix_dedup.op3_suffix_array,
     "op4_fingerprints": weighted_sampling.op4_fingerprints,
     "op5_mixing": mixing.op5_mixing,
     "op6_language_id": language_id.op6_language_id,
