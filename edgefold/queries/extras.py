@@ -1,4 +1,124 @@
-"""Queries of training, accuracy and streams."""
+"""Queries of training, accuracy, generated graphs and streams."""
+
+from __future__ import annotations
+
+import uuid
+
+from pyspark.sql import functions as F
+
+from edgefold.functions import steps as S
+from edgefold.operators import training
+from edgefold.operators.fused import fused_fold, to_long
+from edgefold.operators.two_phase import _shared, two_phase
+from edgefold.plans import program as P
+from edgefold.queries.oracle import fold_sql
+from edgefold.sources import features, graphs, tables
+from edgefold.streaming import folds
 
 QUERIES: dict = {}
 ORACLE: dict[str, str] = {}
+LANGS = ("de", "en", "es", "fr")
+
+
+def q(name, sql=None):
+    def register(f):
+        QUERIES[name] = f
+        if sql is not None:
+            ORACLE[name] = sql
+        return f
+
+    return register
+
+
+_RMAT = graphs.rmat_sql(10, 8000)
+_RT, _RS = f"SELECT DISTINCT u FROM ({_RMAT})", f"SELECT DISTINCT v AS id FROM ({_RMAT})"
+
+
+@q("sigmoid_embedding_g8", fold_sql(P.sigmoid_embedding(), _RMAT, _RT, features.hashed_sql(f"SELECT u AS id FROM ({_RT})", 8), features.hashed_sql(_RS, 8), 8))
+def sigmoid_embedding_g8(spark, sf_dir):
+    e = graphs.rmat(spark, 10, 8000)
+    ids = e.select(F.col("u").alias("id")).distinct()
+    return to_long(fused_fold(e, features.hashed(ids, 8), features.hashed(e.select(F.col("v").alias("id")).distinct(), 8), P.sigmoid_embedding(), d=8, strategy="packed"))
+
+
+@q("rmat_g8", _RMAT)
+def rmat_g8(spark, sf_dir):
+    return graphs.rmat(spark, 10, 8000)
+
+
+_X5 = features.digest_sql(graphs.targets_sql("g4").replace("AS u", "AS id"), 8, 1)
+
+
+@q("embedding_step", f"""WITH e AS ({graphs.SQL['g4']}), x AS ({_X5}),
+  h AS (SELECT e.u, e.v, sum(p.val * r.val) AS s FROM e JOIN x p ON p.id = e.u JOIN x r ON r.id = e.v AND r.i = p.i GROUP BY 1, 2),
+  z AS (SELECT h.u, r.i, sum(r.val / (1 + exp(h.s))) AS z FROM h JOIN x r ON r.id = h.v GROUP BY 1, 2)
+  SELECT x.id AS u, x.i, round(x.val + 0.05::DOUBLE * coalesce(z.z, 0), 9) + 0::DOUBLE AS z FROM x LEFT JOIN z ON z.u = x.id AND z.i = x.i""")
+def embedding_step(spark, sf_dir):
+    """One pull of all vertices, without negatives."""
+    x = features.digest(graphs.targets(spark, sf_dir, "g4").withColumnRenamed("u", "id"), 8, 1)
+    pull = fused_fold(graphs.edges(spark, sf_dir, "g4"), x, x, P.embedding_pull(), d=8, strategy="relational")
+    moved = training._move(x, pull, pull.select("u", F.transform("z", lambda v: v * 0.0).alias("z")), 0.05)
+    return to_long(moved.select(F.col("id").alias("u"), F.col("x").alias("z")), 9)
+
+
+@q("train_embedding_g5")
+def train_embedding_g5(spark, sf_dir):
+    x, _ = training.train_embedding(graphs.edges(spark, sf_dir, "g5"), graphs.targets(spark, sf_dir, "g5"), d=8, batches=2, epochs=1)
+    return to_long(x.select(F.col("id").alias("u"), F.col("x").alias("z")))
+
+
+def _language(spark, sf_dir, fold, **options):
+    d = 32
+    e = graphs.edges(spark, sf_dir, "g6")
+    y = features.digest(graphs.sources(spark, sf_dir, "g6"), d, 1)
+    docs = tables.load(spark, sf_dir, "documents")
+    z = fold(e, None if fold is fused_fold else y, y, P.graph_conv("mean"), d=d, **options)
+    label = (F.array_position(F.array(*[F.lit(x) for x in LANGS]), F.col("lang")) - 1).cast("int")
+    labels = docs.select(F.col("doc_id").alias("id"), label.alias("label"))
+    pred = training.classify(z.select(F.col("u").alias("id"), F.col("z").alias("x")), labels.where("id % 5 <> 0"), d)
+    return training.f1_micro(pred.where("id % 5 = 0"), labels)
+
+
+_F1 = f"""WITH e AS ({graphs.SQL['g6']}), y AS ({features.digest_sql('SELECT DISTINCT v AS id FROM e', 32, 1)}),
+  z AS (SELECT e.u AS id, y.i, avg(e.a * y.val) AS val FROM e JOIN y ON y.id = e.v GROUP BY 1, 2),
+  l AS (SELECT doc_id AS id, list_position(['de', 'en', 'es', 'fr'], lang) - 1 AS label FROM documents),
+  c AS (SELECT label, i, avg(val) AS val FROM z JOIN l USING (id) WHERE id % 5 <> 0 GROUP BY 1, 2),
+  s AS (SELECT z.id, c.label, round(sum(z.val * c.val) / (sqrt(sum(z.val * z.val)) * sqrt(sum(c.val * c.val))), 9) AS s FROM z JOIN c USING (i) WHERE z.id % 5 = 0 GROUP BY 1, 2),
+  p AS (SELECT id, label AS pred FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY s DESC, label) AS r FROM s) WHERE r = 1)
+  SELECT count(*) AS n, round(avg((pred = label)::INTEGER), 9) AS f1 FROM p JOIN l USING (id)"""
+q("f1_micro_lang", _F1)(lambda s, d: _language(s, d, fused_fold, strategy="relational"))
+q("f1_micro_lang_two_phase", _F1)(lambda s, d: _language(s, d, two_phase))
+
+
+def _stream(spark, sf_dir):
+    """The events table as a stream of files."""
+    place = f"{_shared(spark)}/events-{uuid.uuid4().hex}"
+    tables.load(spark, sf_dir, "events").repartition(3).write.parquet(place)
+    return folds.as_edges(folds.events(spark, place))
+
+
+def _types(spark):
+    return features.hashed(spark.range(1, 6).select("id"), 8)
+
+
+_KINDS = "list_position(['click', 'error', 'purchase', 'signup', 'view'], event_type)"
+_TY = features.hashed_sql("SELECT range AS id FROM range(1, 6)", 8)
+for _name, _reduce in (("sum", "sum"), ("max", "max"), ("min", "min"), ("mean", "avg")):
+
+    @q(f"streaming_fold_{_name}", f"SELECT user_id AS u, i, round({_reduce}(val), 9) + 0::DOUBLE AS z FROM events JOIN ({_TY}) y ON y.id = {_KINDS} GROUP BY 1, 2")
+    def _fold(spark, sf_dir, pool=_name):
+        z = folds.streaming_fold(_stream(spark, sf_dir), None, _types(spark), P.graph_conv(pool), 8)
+        return to_long(folds.drain(z, f"fold_{uuid.uuid4().hex}"), 9)
+
+
+@q("streaming_windows", f"SELECT user_id AS u, epoch_us(time_bucket(INTERVAL 1 DAY, ts)) // 1000000 AS t, i, round(sum(val), 9) + 0::DOUBLE AS z FROM events JOIN ({_TY}) y ON y.id = {_KINDS} GROUP BY 1, 2, 3")
+def streaming_windows(spark, sf_dir):
+    z = folds.windowed_fold(folds.with_lateness(_stream(spark, sf_dir), "1 day"), _types(spark), P.graph_conv("sum"), 8, "1 day")
+    z = folds.drain(z, f"windows_{uuid.uuid4().hex}")
+    return z.select("u", F.unix_timestamp("start").alias("t"), F.posexplode("z").alias("i", "z")).select("u", "t", "i", F.round("z", 9).alias("z"))
+
+
+@q("streaming_state", "SELECT user_id AS u, count(*) AS n FROM events GROUP BY 1")
+def streaming_state(spark, sf_dir):
+    z = folds.stateful_fold(_stream(spark, sf_dir), _types(spark), 8, 3_600_000)
+    return folds.drain(z, f"state_{uuid.uuid4().hex}", "update").groupBy("u").agg(F.max("n").alias("n"))
