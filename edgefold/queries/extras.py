@@ -120,5 +120,5 @@ def streaming_windows(spark, sf_dir):
 
 @q("streaming_state", "SELECT user_id AS u, count(*) AS n FROM events GROUP BY 1")
 def streaming_state(spark, sf_dir):
-    z = folds.stateful_fold(_stream(spark, sf_dir), _types(spark), 8, 3_600_000)
+    z = folds.stateful_fold(folds.with_lateness(_stream(spark, sf_dir), "40 days"), _types(spark), 8, 3_600_000)
     return folds.drain(z, f"state_{uuid.uuid4().hex}", "update").groupBy("u").agg(F.max("n").alias("n"))

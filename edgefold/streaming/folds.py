@@ -66,26 +66,28 @@ def distinct_edges(stream: DataFrame, delay: str) -> DataFrame:
 
 
 def stateful_fold(edges: DataFrame, y: DataFrame, d: int, ttl_ms: int) -> DataFrame:
-    """(u, n, z): each vertex's running sum of neighbour features as keyed state of its own, dropped after a time without edges."""
+    """(u, n, z): each vertex's running sum of neighbour features as keyed state of its own, dropped after an event time
+    without edges. The stream has a watermark on ts; processing-time timeouts would keep a bounded run from ending."""
     import numpy as np
     import pandas as pd
 
-    both = edges.join(y.select(F.col("id").alias("v"), F.col("x").alias("y")), "v").select("u", "y")
+    both = edges.join(y.select(F.col("id").alias("v"), F.col("x").alias("y")), "v").select("u", "y", "ts")
 
     def update(key, frames, state):
         if state.hasTimedOut:
             state.remove()
             return
         n, z = state.get if state.exists else (0, [0.0] * d)
-        total = np.asarray(z)
+        total, latest = np.asarray(z), state.getCurrentWatermarkMs()
         for f in frames:
             n += len(f)
+            latest = max(latest, int(f["ts"].max().timestamp() * 1000))
             total = total + np.stack(f["y"].to_numpy()).sum(axis=0)
         state.update((n, total.tolist()))
-        state.setTimeoutDuration(ttl_ms)
+        state.setTimeoutTimestamp(latest + ttl_ms)
         yield pd.DataFrame({"u": [key[0]], "n": [n], "z": [total.tolist()]})
 
-    return both.groupBy("u").applyInPandasWithState(update, "u long, n long, z array<double>", "n long, z array<double>", "update", "ProcessingTimeTimeout")
+    return both.groupBy("u").applyInPandasWithState(update, "u long, n long, z array<double>", "n long, z array<double>", "update", "EventTimeTimeout")
 
 
 def joined_edges(one: DataFrame, other: DataFrame, delay: str, seconds: int) -> DataFrame:
