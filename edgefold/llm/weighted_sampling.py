@@ -16,7 +16,6 @@ empty table gives no rows; columns other than doc_id and text are ignored.
 from __future__ import annotations
 
 import hashlib
-import math
 from collections import Counter
 
 import numpy as np
@@ -81,9 +80,7 @@ class Sampler:
         rate = self.rate[(x & np.uint64(0xFFFF)).astype(np.uint16)]
         beta = self.beta[(x >> np.uint64(16) & np.uint64(0xFFFF)).astype(np.uint16)]
         log_c = self.log_c[(x >> np.uint64(32) & np.uint64(0xFFFF)).astype(np.uint16)]
-        once = np.zeros_like(rate)  # the step of weight 1: floor(beta) = 0
-        score = log_c - rate * (1 - beta)
-        del once
+        score = log_c - rate * (1 - beta)  # at weight 1, whose step is 0
         bound = np.concatenate([[0], np.cumsum(sizes)])
         low = (known & np.uint64(0xFFFFFFFF)).astype(np.uint32)
         for k, i in enumerate(full):
