@@ -195,8 +195,7 @@ q("filtered_weight", "SELECT l_suppkey AS u, sum(l_quantity) FILTER (WHERE l_ret
 
 # Windows.
 q("rank_neighbours", f"SELECT u, v, a, row_number() OVER (PARTITION BY u ORDER BY a DESC, v)::INTEGER AS place, rank() OVER (PARTITION BY u ORDER BY a DESC)::INTEGER AS rank, dense_rank() OVER (PARTITION BY u ORDER BY a DESC)::INTEGER AS dense FROM ({G4})")(lambda s, d: E.rank_neighbours(graphs.edges(s, d, "g4")))
-_BY = Window.orderBy("deg", "u")
-q("degree_ntile", f"SELECT u, deg, ntile(4) OVER (ORDER BY deg, u)::INTEGER AS tile FROM ({_DEG.format(G4)})")(lambda s, d: partition.degrees(graphs.edges(s, d, "g4")).select("u", "deg", F.ntile(4).over(_BY).alias("tile")))
+q("degree_ntile", f"SELECT u, deg, ntile(4) OVER (ORDER BY deg, u)::INTEGER AS tile FROM ({_DEG.format(G4)})")(lambda s, d: partition.degrees(graphs.edges(s, d, "g4")).select("u", "deg", F.ntile(4).over(Window.orderBy("deg", "u")).alias("tile")))
 q("degree_cume", f"SELECT u, deg, round(cume_dist() OVER (ORDER BY deg), 9) AS cume, round(percent_rank() OVER (ORDER BY deg), 9) AS pct FROM ({_DEG.format(G4)})")(lambda s, d: partition.degrees(graphs.edges(s, d, "g4")).select("u", "deg", F.round(F.cume_dist().over(Window.orderBy("deg")), 9).alias("cume"), F.round(F.percent_rank().over(Window.orderBy("deg")), 9).alias("pct")))
 q("successor_edges", G4)(edges("g4"))
 q("turn_edges", G["g11"])(edges("g11"))
