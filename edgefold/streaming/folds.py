@@ -91,11 +91,15 @@ def stateful_fold(edges: DataFrame, y: DataFrame, d: int, ttl_ms: int) -> DataFr
 
 
 def joined_edges(one: DataFrame, other: DataFrame, delay: str, seconds: int) -> DataFrame:
-    """(u, v, t1, t2): users of two streams' events at most `seconds` apart. Both have watermarks, so state is bounded."""
-    p = one.withWatermark("ts", delay).select(F.col("user_id").alias("u"), F.col("ts").alias("t1"))
-    q = other.withWatermark("ts", delay).select(F.col("user_id").alias("v"), F.col("ts").alias("t2"))
+    """(u, v, t1, t2): users of two streams' events at most `seconds` apart. Both have watermarks, so state is bounded.
+
+    Streams join by equality: events meet in buckets of time, those of one side in the neighbouring buckets as well.
+    """
+    bucket = F.floor(F.unix_timestamp("ts") / seconds)
+    p = one.withWatermark("ts", delay).select(F.col("user_id").alias("u"), F.col("ts").alias("t1"), bucket.alias("bucket"))
+    q = other.withWatermark("ts", delay).select(F.col("user_id").alias("v"), F.col("ts").alias("t2"), F.explode(F.array(bucket - 1, bucket, bucket + 1)).alias("near"))
     near = (F.col("t1") >= F.col("t2") - F.make_dt_interval(F.lit(0), F.lit(0), F.lit(0), F.lit(seconds))) & (F.col("t1") <= F.col("t2") + F.make_dt_interval(F.lit(0), F.lit(0), F.lit(0), F.lit(seconds)))
-    return p.join(q, near & (F.col("u") != F.col("v")))
+    return p.join(q, (F.col("bucket") == F.col("near")) & near & (F.col("u") != F.col("v"))).drop("bucket", "near")
 
 
 def refresh(stream: DataFrame, path: str, step, checkpoint: str):
