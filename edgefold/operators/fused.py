@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from edgefold.functions import steps as S
-from edgefold.operators.packed import chunk_rows
+from edgefold.operators.packed import chunk_rows, hubs, pack
 from edgefold.plans import planner
 from edgefold.plans.program import Program, check, check_tiled, recognise
 
@@ -213,7 +213,9 @@ def _packed(edges, x, y, program, d, *, specialise=True, block=None, dtype="doub
     shipped = ship(y, limit)
     pattern = recognise(program) if specialise else "general"
     kernel, reads_x, mean = generate(pattern, d, block, dtype), "x" in program.reads, program.collect.reduce == "mean"
-    rows = chunk_rows(edges) if rows is None else rows
+    whole = rows is None and hubs(edges).isEmpty()
+    if rows is None:
+        rows = pack(edges) if whole else chunk_rows(edges)
     if reads_x:
         rows = rows.join(x.select(F.col("id").alias("u"), F.col("x").alias("xu")), "u")
 
@@ -237,7 +239,7 @@ def _packed(edges, x, y, program, d, *, specialise=True, block=None, dtype="doub
             yield pa.RecordBatch.from_arrays([b.column("u"), z, pa.array(sizes.astype(np.int64))], ["u", "z", "n"])
 
     part = rows.mapInArrow(run, "u long, z array<double>, n long")
-    if rows.columns.count("chunks") and rows.where("chunks > 1").isEmpty():
+    if whole or "chunks" not in rows.columns:
         z = part  # no target is in pieces: nothing to merge
     else:
         reduce = {"sum": F.sum, "mean": F.sum, "max": F.max, "min": F.min}[program.collect.reduce]
@@ -294,12 +296,13 @@ def fused_fold(
     tiles: int = 16,
     checked: bool = False,
     on_missing: str = "drop",
+    rows: DataFrame | None = None,
 ) -> DataFrame:
     """(u, z): the fold of all edges (u, v, a) with a <> 0, over target features x and neighbour features y (id, x).
 
     Edges that repeat (u, v) count each. With targets (u), each gets a row. strategy: relational, array, packed, tiled,
     or auto, which asks the planner. checked: stop on malformed features. on_missing: drop edges whose features are
-    missing, or stop with an error.
+    missing, or stop with an error. rows: for packed, rows of `pack` or `chunk_rows` that were made before.
     """
     check(program)
     if strategy == "auto":
@@ -315,7 +318,7 @@ def fused_fold(
             if side is not None and not edges.join(side.select(F.col("id").alias(key)), key, "left_anti").isEmpty():
                 raise ValueError(f"an edge's {key} has no features")
     if strategy == "packed":
-        z = _packed(edges, x, y, program, d, specialise=specialise, block=block, dtype=dtype)
+        z = _packed(edges, x, y, program, d, specialise=specialise, block=block, dtype=dtype, rows=rows)
     elif strategy == "tiled":
         z = _tiled(edges, x, y, program, d, tiles)
     elif strategy == "array" or not specialise:
