@@ -75,8 +75,17 @@ def anchors(raw: bytes, length: int = LENGTH):
 
 
 def _anchors(length: int):
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32()]
-    names = ["h", "c", "doc", "nth", "start", "n"]
+    """Rows of anchors. Copies of a context that a task meets together are settled at once: all but the first are gone."""
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.bool_()]
+    names = ["h", "c", "doc", "nth", "start", "n", "gone"]
+
+    def settled(held):
+        rows = [np.concatenate(x) for x in zip(*held, strict=True)]
+        order = np.lexsort((rows[4], rows[3], rows[2], rows[1], rows[0]))
+        rows = [x[order] for x in rows]
+        gone = np.zeros(len(order), dtype=bool)
+        gone[1:] = (rows[0][1:] == rows[0][:-1]) & (rows[1][1:] == rows[1][:-1])
+        return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip([*rows, gone], kinds, strict=True)], names)
 
     def run(batches):
         for b in batches:
@@ -90,17 +99,20 @@ def _anchors(length: int):
                     ).view(np.int64)
                     held.append((h, c, np.full(len(h), doc), np.full(len(h), nth), starts, n))
                     size += len(h)
-                if size > 1 << 16:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), k) for x, k in zip(zip(*held, strict=True), kinds, strict=True)], names)
+                if size > 1 << 17:
+                    yield settled(held)
                     held, size = [], 0
             if held:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), k) for x, k in zip(zip(*held, strict=True), kinds, strict=True)], names)
+                yield settled(held)
 
     return run
 
 
 def _settle_copies(batches):
-    """Rows sorted by h, c, doc, nth, start. Later copies of a context go (gone); first ones of anchors with several stay."""
+    """Rows sorted by gone, h, c, doc, nth, start. Later copies of a context go; first ones of anchors with several stay.
+
+    Rows that are gone already pass; those of an anchor's context lie in other places than its first ones.
+    """
     names = ["h", "c", "doc", "nth", "start", "n", "gone"]
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.bool_()]
     last: np.ndarray | None = None  # h and c of the row before
@@ -111,7 +123,11 @@ def _settle_copies(batches):
         return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip([*rows, gone], kinds, strict=True)], names)
 
     for b in batches:
-        rows = np.stack([b.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(6)])
+        rows = np.stack([b.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(7)])
+        known = rows[6].astype(bool)
+        if known.any():
+            yield batch(rows[:6, known], known[known])
+        rows = rows[:6, ~known]
         if not rows.shape[1]:
             continue
         copy = np.zeros(rows.shape[1], dtype=bool)
@@ -230,9 +246,12 @@ def gone_ranges(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     spark = docs.sparkSession
     n = partitions(spark)
     small = docs.select("__doc", "__nth", "text")
-    found = small.mapInArrow(_anchors(length), "h long, c long, doc long, nth int, start long, n int")
-    dealt = found.repartition(n, "h").sortWithinPartitions("h", "c", "doc", "nth", "start")
-    settled = settle(dealt.mapInArrow(_settle_copies, "h long, c long, doc long, nth int, start long, n int, gone boolean"))
+    rows = "h long, c long, doc long, nth int, start long, n int, gone boolean"
+    found = small.mapInArrow(_anchors(length), rows)
+    # an anchor that very many places share comes once from each task's batch; what is settled goes anywhere
+    place = F.when(F.col("gone"), F.xxhash64("doc", "nth", "start")).otherwise(F.col("h"))
+    dealt = found.repartition(n, place).sortWithinPartitions("gone", "h", "c", "doc", "nth", "start")
+    settled = settle(dealt.mapInArrow(_settle_copies, rows))
     copies = settled.where("gone").select("doc", "nth", "start", (F.col("start") + F.col("n") + (length - 1)).alias("end"))
     wanted = settled.where("NOT gone").groupBy("doc", "nth").agg(F.collect_list(F.struct("h", "start", "n")).alias("wanted"))
     texts = small.join(wanted, (F.col("__doc") == F.col("doc")) & (F.col("__nth") == F.col("nth"))).select("doc", "nth", "text", "wanted")
