@@ -12,7 +12,7 @@ that join what is linked in it.
 
 Defined cases: null and empty texts have no words and fingerprint zero, and link like any other; nulls in doc_id link
 but never name a component, which is null where all its ids are; repeated rows are kept; other columns are ignored by
-`cluster` and kept by `keep_one`.
+`cluster` and kept by `keep_one`, which finds its groups by wider fingerprints in parts (`near_copies`).
 """
 
 from __future__ import annotations
@@ -25,6 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from edgefold.llm import near_copies
 from edgefold.llm.components import components, union_find
 from edgefold.llm.shared import long_id, partitions, prepare, settle, table
 
@@ -199,9 +200,16 @@ def hex_fingerprint(fp) -> F.Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def keep_one(docs: DataFrame, *, bits: int = BITS, shingle_words: int = 5) -> DataFrame:
-    """All columns of one document of each component: the one with its least doc_id, or all without an id."""
-    kept = cluster(docs, bits=bits, shingle_words=shingle_words)
+def shingle_set(text: str | None, size: int) -> np.ndarray:
+    """Sorted distinct hashes of the shingles of a text, words as for its fingerprint."""
+    words = (text or "").encode("utf-8").lower().split()
+    return np.unique(_hashes(words, size)) if words else np.empty(0, np.uint64)
+
+
+def keep_one(docs: DataFrame, *, shingle_words: int = 5) -> DataFrame:
+    """All columns of one document of each group of near copies (shingle similarity of 0.8 or more, in chains): the one
+    with its least doc_id, and all without an id."""
+    kept = near_copies.cluster(docs, lambda text: shingle_set(text, shingle_words))
     kept = kept.where("doc_id IS NULL OR doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
     same = docs["doc_id"].cast("long").eqNullSafe(kept["kept_id"])
     return docs.join(kept, same, "left_semi")
