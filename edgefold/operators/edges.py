@@ -91,9 +91,15 @@ def similar_pairs(x: DataFrame, tau: float) -> DataFrame:
     return x.select("id", "x").mapInArrow(run, "u long, v long, a double")
 
 
-def assign_parts(prefix: DataFrame, bounds: DataFrame) -> DataFrame:
-    """(u, part): rows into the part whose interval of running edges [low, high) they start in."""
-    return prefix.join(F.broadcast(bounds), (F.col("before") >= F.col("low")) & (F.col("before") < F.col("high"))).select("u", "part")
+def assign_parts(prefix: DataFrame, bounds: DataFrame, width: int | None = None) -> DataFrame:
+    """(u, part): rows into the part whose interval of running edges [low, high) they start in.
+
+    Intervals of one width that start at its multiples may be many: they are joined by their number.
+    """
+    within = (F.col("before") >= F.col("low")) & (F.col("before") < F.col("high"))
+    if width is None:
+        return prefix.join(F.broadcast(bounds), within).select("u", "part")
+    return prefix.join(bounds, (F.floor(F.col("before") / width) == F.floor(F.col("low") / width)) & within).select("u", "part")
 
 
 def asof_features(events: DataFrame, versions: DataFrame, key: str, at: str, since: str) -> DataFrame:

@@ -140,8 +140,9 @@ _PRE = f"SELECT u, deg, (sum(deg) OVER (ORDER BY u) - deg)::BIGINT AS before FRO
 @q("part_range_join", f"WITH p AS ({_PRE}), b AS (SELECT range::INTEGER AS part, range * 1000 AS low, (range + 1) * 1000 AS high FROM range(10)) SELECT u, part FROM p JOIN b ON before >= low AND before < high")
 def part_range_join(spark, sf_dir):
     prefix = prefix_sum(partition.degrees(graphs.edges(spark, sf_dir, "g4")), "u", "deg", "before")
-    bounds = spark.range(10).select(F.col("id").cast("int").alias("part"), (F.col("id") * 1000).alias("low"), ((F.col("id") + 1) * 1000).alias("high"))
-    return E.assign_parts(prefix, bounds)
+    last = prefix.agg(F.max("before")).first()[0]  # intervals as far as the running counts go
+    bounds = spark.range(0 if last is None else last // 1000 + 1).select(F.col("id").cast("int").alias("part"), (F.col("id") * 1000).alias("low"), ((F.col("id") + 1) * 1000).alias("high"))
+    return E.assign_parts(prefix, bounds, 1000)
 
 
 q("prefix_nnz", _PRE)(lambda s, d: prefix_sum(partition.degrees(graphs.edges(s, d, "g4")), "u", "deg", "before"))
