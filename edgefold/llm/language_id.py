@@ -5,11 +5,14 @@ language has a probability for each piece, learned by expectation-maximisation o
 pass sums the probability of all ways to cut a word into pieces, the backward pass gives each piece's expected count.
 A text's score in a language is the sum over its words of the log of that sum; letters alone make words.
 
+Words are whole, however long, and so are pieces. Sums over long words are kept as logs, so nothing vanishes.
+
 Scoring is by word: each worker keeps the scores of words it has met. Training reads at most `sample_docs` documents of
-a language, by hash of doc_id, and its `sample_words` most frequent words of these.
+a language, by hash of doc_id and text, and all words of these; every language that has a document is learned.
 
 Defined cases: a null text, or one without a letter, is `und` with score 0; without any document to learn from every
-prediction is `und`; documents without an id are predicted but not learned from; rows that repeat an id are predicted each; an empty table gives no rows; other columns are ignored.
+prediction is `und`; documents without an id are predicted but not learned from; rows that repeat an id are predicted
+each, and learned from once if their texts are equal too; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,11 +28,12 @@ from pyspark.sql import functions as F
 from edgefold.llm.shared import long_id, prepare, table
 
 SAMPLE_DOCS = 1_500
-SAMPLE_WORDS = 12_000
 ROUNDS = 4
 UNDETERMINED = "und"
-#: Longer words are cut; longer pieces are left out.
-WORD_CHARS, PIECE_CHARS = 24, 10
+#: Words with more letters are summed in logs.
+LINEAR_CHARS = 24
+#: Numbers of pieces that a lattice of words of one length holds at a time.
+LATTICE = 1 << 22
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -45,7 +49,7 @@ def read_pieces(path: str) -> list[str]:
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     found = {model.id_to_piece(i).lstrip("▁").lower() for i in range(model.get_piece_size())}
-    return sorted(p for p in found if 0 < len(p) <= PIECE_CHARS and p.isalpha())
+    return sorted(p for p in found if p and p.isalpha())
 
 
 def words_of(text: str) -> list[str]:
@@ -65,13 +69,15 @@ class Pieces:
         for i, w in enumerate(words):
             by_length.setdefault(len(w), []).append(i)
         get = self.number.get
-        for length, at in by_length.items():
+        for length, those in by_length.items():
             most = min(length, self.longest)
             spans = [(e - k, e) if e >= k else (0, 0) for e in range(1, length + 1) for k in range(1, most + 1)]
-            ids = np.asarray([[get(w[a:b], -1) for a, b in spans] for w in (words[i] for i in at)], dtype=np.int32)
-            ids = ids.reshape(len(at), length, most)
-            ids[:, :, 0] = np.maximum(ids[:, :, 0], 0)
-            yield np.asarray(at), ids
+            step = max(1, LATTICE // len(spans))
+            for at in (those[a : a + step] for a in range(0, len(those), step)):
+                ids = np.asarray([[get(w[a:b], -1) for a, b in spans] for w in (words[i] for i in at)], dtype=np.int32)
+                ids = ids.reshape(len(at), length, most)
+                ids[:, :, 0] = np.maximum(ids[:, :, 0], 0)
+                yield np.asarray(at), ids
 
 
 def forward(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
@@ -85,11 +91,64 @@ def forward(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
     return alpha
 
 
+def log_sums(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    """The log of the sum over all segmentations of each whole word: (words, languages), for words of any length.
+
+    Of the prefixes only the last few, as many as a piece is long, are held, each as the sum over the sum before it.
+    """
+    n, length, most = ids.shape
+    step = max(1, LATTICE // ((LINEAR_CHARS + 1) * max(1, prob.shape[1])))
+    if n > step:
+        return np.concatenate([log_sums(ids[a : a + step], prob) for a in range(0, n, step)])
+    if length <= LINEAR_CHARS:
+        return np.log(np.maximum(forward(ids, prob)[:, -1], 1e-300))
+    total, last = np.zeros((n, prob.shape[1])), np.ones((most, n, prob.shape[1]))  # last[k - 1]: k letters back
+    for e in range(1, length + 1):
+        grown = np.zeros_like(total)
+        for k in range(1, min(e, most) + 1):
+            grown += last[k - 1] * prob[ids[:, e - 1, k - 1]]
+        grown = np.maximum(grown, 1e-300)
+        total += np.log(grown)
+        last[1:] = last[:-1] / grown
+        last[0] = 1
+    return total
+
+
+def log_prefixes(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    """The log of the sum over all segmentations of each prefix, for one language: (words, length + 1)."""
+    n, length, most = ids.shape
+    out = np.zeros((n, length + 1))
+    for e in range(1, length + 1):
+        near = sum(np.exp(out[:, e - k] - out[:, e - 1]) * prob[ids[:, e - 1, k - 1]] for k in range(1, min(e, most) + 1))
+        out[:, e] = out[:, e - 1] + np.log(np.maximum(near, 1e-300))
+    return out
+
+
+def _long_counts(ids: np.ndarray, counts: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    """Expected counts of pieces in words of any length, by logs of the sums before and after each place."""
+    n, length, most = ids.shape
+    before, total = log_prefixes(ids, prob), np.zeros(len(prob))
+    after = np.full((n, length + 1), -np.inf)
+    after[:, length] = 0
+    for e in range(length, 0, -1):
+        for k in range(1, min(e, most) + 1):
+            piece = ids[:, e - 1, k - 1]
+            p = prob[piece]
+            share = np.exp(before[:, e - k] + after[:, e] - before[:, length]) * p
+            total += np.bincount(np.where(piece < 0, len(prob) - 1, piece), share * counts, len(prob))
+            with np.errstate(divide="ignore"):
+                after[:, e - k] = np.logaddexp(after[:, e - k], after[:, e] + np.log(p))
+    return total
+
+
 def expected_counts(pieces: Pieces, words: list[str], counts: np.ndarray, prob: np.ndarray) -> np.ndarray:
     total = np.zeros(len(prob))
     for at, ids in pieces.lattices(words):
-        alpha = forward(ids, prob[:, None])[:, :, 0]
         n, length, most = ids.shape
+        if length > LINEAR_CHARS:
+            total += _long_counts(ids, counts[at], prob)
+            continue
+        alpha = forward(ids, prob[:, None])[:, :, 0]
         beta = np.zeros((n, length + 1))
         beta[:, length] = 1
         scale = counts[at] / np.maximum(alpha[:, length], 1e-300)
@@ -127,16 +186,9 @@ class Scorer:
         self.table = np.zeros((0, len(languages)))
 
     def _learn(self, words: list[str]) -> None:
-        parts, owner = [], []
-        for i, w in enumerate(words):
-            for at in range(0, len(w), WORD_CHARS):
-                parts.append(w[at : at + WORD_CHARS])
-                owner.append(i)
         scores = np.zeros((len(words), len(self.languages)))
-        owner = np.asarray(owner)
-        for at, ids in self.pieces.lattices(parts):
-            found = np.log(np.maximum(forward(ids, self.prob)[:, -1], 1e-300))
-            np.add.at(scores, owner[at], found)
+        for at, ids in self.pieces.lattices(words):
+            scores[at] = log_sums(ids, self.prob)
         start = len(self.row)
         self.row.update(zip(words, range(start, start + len(words)), strict=True))
         if start + len(words) > len(self.table):
@@ -166,16 +218,17 @@ class Scorer:
         return label, likely
 
 
-def train(docs: DataFrame, *, pieces: str | None = None, sample_docs: int = SAMPLE_DOCS, sample_words: int = SAMPLE_WORDS) -> Scorer:
-    """docs: doc_id, text, lang. What reaches the driver is `sample_words` rows for each language."""
+def train(docs: DataFrame, *, pieces: str | None = None, sample_docs: int = SAMPLE_DOCS) -> Scorer:
+    """docs: doc_id, text, lang. What reaches the driver are the words of `sample_docs` documents of each language."""
     names = read_pieces(pieces or default_pieces())
-    known = docs.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "lang", F.xxhash64("doc_id").alias("h"))
+    hashed = F.xxhash64("doc_id", "text").alias("h")
+    known = docs.where("lang IS NOT NULL AND text IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", "lang", "text", hashed)
     # A bound on the hash that leaves a few times the wanted documents of each language, before ranking these.
     sizes = known.groupBy("lang").agg(F.count("*").alias("n"))
     share = F.least(F.lit(1.0), 3.0 * sample_docs / F.col("n")) * 2.0**64 - 2.0**63
-    some = known.join(F.broadcast(sizes.limit(10_000)), "lang").where(F.col("h").cast("double") <= share)
+    some = known.select("doc_id", "lang", "h").join(sizes, "lang").where(F.col("h").cast("double") <= share)
     rank = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))
-    chosen = some.withColumn("rank", rank).where(F.col("rank") <= sample_docs).select("doc_id", "lang").distinct()
+    chosen = some.select("doc_id", "lang", "h").distinct().withColumn("rank", rank).where(F.col("rank") <= sample_docs).drop("rank")
 
     def run(batches):
         from collections import Counter
@@ -183,14 +236,13 @@ def train(docs: DataFrame, *, pieces: str | None = None, sample_docs: int = SAMP
         for b in batches:
             counts: dict[str, Counter] = {}
             for language, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                counts.setdefault(language, Counter()).update(w[:WORD_CHARS] for w in words_of(text.as_py()) if w.isalpha())
+                counts.setdefault(language, Counter()).update(w for w in words_of(text.as_py()) if w.isalpha())
             rows = [(k, w, n) for k, c in counts.items() for w, n in c.items()]
             yield pa.RecordBatch.from_pandas(pd.DataFrame(rows, columns=["lang", "word", "n"]), pa.schema([("lang", pa.string()), ("word", pa.string()), ("n", pa.int64())]))
 
-    texts = docs.where("text IS NOT NULL").select("doc_id", "lang", "text").join(chosen, ["doc_id", "lang"]).select("lang", "text")
+    texts = known.join(chosen, ["doc_id", "lang", "h"], "left_semi").dropDuplicates(["doc_id", "lang", "h"]).select("lang", "text")
     counted = texts.mapInArrow(run, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
-    order = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "word"))
-    rows = counted.withColumn("rank", order).where(F.col("rank") <= sample_words).orderBy("lang", "rank").select("lang", "word", "n").toPandas()
+    rows = counted.orderBy("lang", F.desc("n"), "word").toPandas()
     words = {str(k): (g["word"].tolist(), g["n"].to_numpy(dtype=float)) for k, g in rows.groupby("lang")}
     languages, prob = fit(words, names)
     return Scorer(names, languages, prob)

@@ -29,6 +29,48 @@ def test_forward_sums_all_segmentations():
         assert got == pytest.approx([all_ways(words[i], prob, lattice.number) for i in at])
 
 
+def test_long_words_are_summed_whole(monkeypatch):
+    """A word of 60 letters against plain arithmetic with fractions, and short words in logs against the linear pass."""
+    from fractions import Fraction
+
+    prob = np.asarray([0.05, 0.3, 0.2, 0.1, 0.25, 0.1, 0.0])
+    lattice = li.Pieces(PIECES)
+    word = "".join("abczabcab"[i % 9] for i in range(60))
+    exact = [Fraction(1)]
+    for e in range(1, len(word) + 1):
+        ways = [(word[e - k : e], exact[e - k]) for k in range(1, min(e, 3) + 1)]
+        exact.append(sum((Fraction(prob[lattice.number.get(w, 0)]) * f for w, f in ways if w in lattice.number or len(w) == 1), Fraction(0)))
+    for repeat in (1, 30):
+        (_, ids), = lattice.lattices([word * repeat])
+        assert ids.shape[1] == 60 * repeat
+        got = li.log_sums(ids, prob[:, None])[0, 0]
+        assert got == pytest.approx(li.log_prefixes(ids, prob)[0, -1])
+        if repeat == 1:
+            assert got == pytest.approx(float(np.log(float(exact[-1]))))
+    words, counts = ["abcab", "ca", "zz", "cabca"], np.asarray([2.0, 1.0, 3.0, 5.0])
+    linear = li.expected_counts(lattice, words, counts, prob)
+    monkeypatch.setattr(li, "LINEAR_CHARS", 1)
+    assert li.expected_counts(lattice, words, counts, prob) == pytest.approx(linear)
+    sizes = np.asarray([1, 2, 1, 1, 3, 2, 0])
+    assert (li.expected_counts(lattice, [word * 30], np.ones(1), prob) * sizes).sum() == pytest.approx(1800)
+
+
+def test_pieces_of_all_lengths():
+    assert max(map(len, li.read_pieces(li.default_pieces()))) > 10
+
+
+def test_many_languages_are_all_learned(spark):
+    draw = np.random.default_rng(3)
+    letters = {f"l{k:02}": draw.permutation(list("abcdefghijklmnopqrstuvwxyz"))[:9].tolist() for k in range(40)}
+    text = {k: [" ".join("".join(draw.choice(v, 5)) for _ in range(60)) for _ in range(8)] for k, v in letters.items()}
+    rows = [(i * 40 + n, t, k) for n, (k, ts) in enumerate(text.items()) for i, t in enumerate(ts)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    scorer = li.train(docs.where("doc_id < 240"))
+    assert scorer.languages == sorted(text)
+    got = {r["doc_id"]: r["lang_pred"] for r in li.predict(docs, scorer).collect()}
+    assert np.mean([got[i] == k for i, _, k in rows if i >= 240]) > 0.95
+
+
 def test_expected_counts_add_up_and_learning_helps():
     lattice, prob = li.Pieces(PIECES), np.asarray([0.05, 0.3, 0.2, 0.1, 0.25, 0.1, 0.0])
     words, counts = ["abcab", "ca"], np.asarray([2.0, 1.0])
