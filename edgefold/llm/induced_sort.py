@@ -1,72 +1,191 @@
-"""Suffix arrays with common prefixes by induced sorting, in bulk and with queues on disk.
+"""Suffix arrays with common prefixes by recursive induced sorting, with texts, queues and results on disk.
 
 Suffixes that are smaller than their successor but follow one that is not (the sampled suffixes) are sorted first; all
 others follow by induction: scanning suffixes in order, each suffix places the one that starts a symbol earlier. What
 waits for its turn is in a priority queue by first symbol. Suffixes of a symbol enter the queue in their final order, so
-a queue is a first-in-first-out list for each symbol, and what does not fit into memory goes to a file. A tuple in the
-queue is a position and the length of the prefix that it shares with the tuple before it, which is carried along: one
-more than the least shared prefix among the suffixes scanned between the two that placed them.
+a queue is a first-in-first-out list for each symbol. A tuple in the queue is a position and the length of the prefix
+that it shares with the tuple before it, which is carried along: one more than the least shared prefix among the
+suffixes scanned between the two that placed them.
 
 The sampled suffixes are sorted by recursion: the same induction sorts the stretches between sampled positions, equal
-stretches get equal names, and the sequence of names is sorted in turn (by doubling, as names are too many for a queue
-of symbols). Shared prefixes are counted up to a cap, which lets a range minimum be answered from byte-sized tables.
+stretches get equal names, and the sequence of names is sorted in turn, until names are unique (or most are, and the
+rest fits into memory: these are told apart by what follows). A text of names has too
+many symbols for a list each: its queue holds what fits into memory and writes the rest as runs in order of symbols,
+which are merged when they are read. Prefixes are carried on the lowest level alone, which asks for them.
+
+A sort has `limit` bytes for what grows with its text. Arrays beyond it lie in files, queues beyond it spill, scans work
+in pieces, and results come as a stream, so a text may be far larger than memory. Shared prefixes are counted up to a
+cap, which lets a range minimum be answered from byte-sized tables.
 """
 
 from __future__ import annotations
 
 import tempfile
+from collections.abc import Iterator
 
 import numpy as np
 
-#: Bytes of queued tuples that are kept in memory; beyond it, tuples go to disk.
-QUEUE_BYTES = 64 << 20
+#: Bytes for what grows with the text; beyond it, arrays and tuples go to disk.
+LIMIT = 16 << 20
+#: Suffixes that a scan meets at a time.
+PIECE = 1 << 18
+#: Names that occur so many times or fewer on average end the recursion, if what that takes fits into memory; and bytes
+#: that always do.
+ALONE, FEW = 1.5, 1 << 14
 
 
-class DiskQueue:
-    """First-in-first-out lists of (position, shared prefix) for each symbol."""
+class Room:
+    """Memory of a sort: arrays while the limit lasts, files beyond it. spilled: bytes on disk by level of recursion."""
 
-    def __init__(self, symbols: int, limit: int = QUEUE_BYTES):
-        self.lists: list[list] = [[] for _ in range(symbols)]
-        self.held, self.limit, self.file, self.spilled = 0, limit, None, 0
+    def __init__(self, limit: int = LIMIT):
+        self.limit, self.held, self.spilled = limit, 0, {}
 
-    def put(self, symbol: int, positions: np.ndarray, shared: np.ndarray) -> None:
+    def array(self, n: int, kind, level: int) -> np.ndarray:
+        size = n * np.dtype(kind).itemsize
+        if self.held + size <= self.limit // 2 or not n:
+            self.held += size
+            return np.empty(n, dtype=kind)
+        self.note(size, level)
+        file = tempfile.TemporaryFile(prefix="edgefold-sort-")
+        file.truncate(size)
+        return np.memmap(file, dtype=kind, mode="r+", shape=(n,))
+
+    def give_back(self, *arrays: np.ndarray) -> None:
+        """These arrays are no longer used."""
+        self.held -= sum(a.nbytes for a in arrays if not isinstance(a, np.memmap))
+
+    def note(self, size: int, level: int) -> None:
+        self.spilled[level] = self.spilled.get(level, 0) + size
+
+
+class Spool:
+    """Pieces of (position, shared prefix), in memory up to a limit, then in a file."""
+
+    def __init__(self, room: Room, level: int):
+        self.room, self.level, self.held, self.file = room, level, 0, None
+
+    def put(self, positions: np.ndarray, shared: np.ndarray):
         size = positions.nbytes + shared.nbytes
-        if self.held + size <= self.limit:
+        if self.held + size <= self.room.limit // 4:
             self.held += size
-            self.lists[symbol].append((positions, shared))
-            return
+            return positions, shared
         if self.file is None:
             self.file = tempfile.TemporaryFile(prefix="edgefold-queue-")
         at = self.file.seek(0, 2)
         self.file.write(positions.tobytes())
         self.file.write(shared.tobytes())
-        self.spilled += size
-        self.lists[symbol].append((at, len(positions), positions.dtype))
+        self.room.note(size, self.level)
+        return at, len(positions), positions.dtype
+
+    def get(self, item) -> tuple[np.ndarray, np.ndarray]:
+        """A piece that was put, which is given up by it."""
+        if len(item) == 2:
+            self.held -= item[0].nbytes + item[1].nbytes
+            return item
+        at, n, kind = item
+        self.file.seek(at)
+        positions = np.frombuffer(self.file.read(n * kind.itemsize), dtype=kind)
+        return positions, np.frombuffer(self.file.read(n), dtype=np.uint8)
+
+    def close(self) -> None:
+        if self.file is not None:
+            self.file.close()
+
+
+class DiskQueue:
+    """First-in-first-out lists of (position, shared prefix) for each symbol."""
+
+    def __init__(self, symbols: int, room: Room, level: int = 0):
+        self.lists: list[list] = [[] for _ in range(symbols)]
+        self.spool = Spool(room, level)
+
+    def put(self, symbol: int, positions: np.ndarray, shared: np.ndarray) -> None:
+        self.lists[symbol].append(self.spool.put(positions, shared))
 
     def take(self, symbol: int):
-        """All that waits for a symbol, in order; None if nothing does."""
-        waiting, self.lists[symbol] = self.lists[symbol], []
-        if not waiting:
+        """What waits for a symbol, in order, up to a piece of it; None if nothing does."""
+        waiting, got, size = self.lists[symbol], [], 0
+        while waiting and size < PIECE:
+            got.append(self.spool.get(waiting.pop(0)))
+            size += len(got[-1][0])
+        if not got:
             return None
-        out = []
-        for item in waiting:
-            if len(item) == 2:
-                self.held -= item[0].nbytes + item[1].nbytes
-                out.append(item)
-            else:
-                at, n, kind = item
-                self.file.seek(at)
-                positions = np.frombuffer(self.file.read(n * kind.itemsize), dtype=kind)
-                out.append((positions, np.frombuffer(self.file.read(n), dtype=np.uint8)))
-        if len(out) == 1:
-            return out[0]
-        return np.concatenate([p for p, _ in out]), np.concatenate([s for _, s in out])
+        return got[0] if len(got) == 1 else (np.concatenate([p for p, _ in got]), np.concatenate([s for _, s in got]))
+
+    def close(self) -> None:
+        self.spool.close()
+
+
+class NameQueue:
+    """First-in-first-out lists of positions for very many symbols, which are asked for in order (or in reverse order).
+
+    Lists beyond the limit are written as a run, by symbol in the order of asking; runs are read in step with the asking.
+    """
+
+    def __init__(self, descending: bool, room: Room, level: int):
+        self.descending, self.room, self.level = descending, room, level
+        self.lists: dict[int, list[int]] = {}
+        self.held, self.most = 0, max(64, room.limit // 64)  # an item takes some tens of bytes
+        self.file, self.runs = None, []
+
+    def spill(self) -> None:
+        order = sorted(self.lists, reverse=self.descending)
+        sizes = [len(self.lists[s]) for s in order]
+        pairs = np.empty((sum(sizes), 2), dtype=np.int64)
+        pairs[:, 0] = np.repeat(order, sizes)
+        pairs[:, 1] = np.fromiter((p for s in order for p in self.lists[s]), np.int64, len(pairs))
+        if self.file is None:
+            self.file = tempfile.TemporaryFile(prefix="edgefold-names-")
+        self.runs.append(_Run(self.file, self.file.seek(0, 2), len(pairs)))
+        self.file.write(pairs.tobytes())
+        self.room.note(pairs.nbytes, self.level)
+        self.lists.clear()
+        self.held = 0
+
+    def take(self, symbol: int) -> list[int] | None:
+        """Some of what waits for the symbol, in order; None if nothing does."""
+        for k, run in enumerate(self.runs):
+            if run.symbol() == symbol:
+                got = run.take()
+                if run.symbol() is None:
+                    self.runs.pop(k)
+                return got
+        got = self.lists.pop(symbol, None)
+        if got:
+            self.held -= len(got)
+        return got
 
     def close(self) -> None:
         if self.file is not None:
             self.file.close()
 
 
+class _Run:
+    """Pairs (symbol, position) in a file, read block by block."""
+
+    def __init__(self, file, at: int, n: int, block: int = 4_096):
+        self.file, self.at, self.left, self.block = file, at, n, block
+        self.pairs, self.next = None, 0
+
+    def symbol(self) -> int | None:
+        if self.pairs is None or self.next == len(self.pairs):
+            n = min(self.left, self.block)
+            if not n:
+                return None
+            self.file.seek(self.at)
+            self.pairs, self.next = np.frombuffer(self.file.read(16 * n), dtype=np.int64).reshape(n, 2), 0
+            self.at, self.left = self.at + 16 * n, self.left - n
+        return int(self.pairs[self.next, 0])
+
+    def take(self) -> list[int]:
+        """The positions of the first symbol in this block."""
+        rest = self.pairs[self.next :]
+        other = np.flatnonzero(rest[:, 0] != rest[0, 0])
+        n = int(other[0]) if len(other) else len(rest)
+        self.next += n
+        return rest[:n, 1].tolist()
+
+
 def shared_prefix(text: np.ndarray, a: np.ndarray, b: np.ndarray, cap: int) -> np.ndarray:
     """Length of the common prefix of the suffixes at a and b, up to the cap; past its end a text differs from all."""
     n, out = len(text), np.zeros(len(a), dtype=np.int64)
@@ -105,22 +224,34 @@ class _Minima:
         return out
 
 
-def kinds(text: np.ndarray) -> np.ndarray:
+def _spans(n: int) -> Iterator[tuple[int, int]]:
+    return ((a, min(n, a + PIECE)) for a in range(0, n, PIECE))
+
+
+def kinds(text: np.ndarray, room: Room, level: int) -> np.ndarray:
     """True where a suffix is smaller than its successor."""
     n = len(text)
-    step = np.zeros(n, dtype=np.int8)
-    step[:-1] = np.sign(text[1:].astype(np.int32) - text[:-1])
-    step[-1] = -1
-    near = np.where(step != 0, np.arange(n), n)
-    return step[np.minimum.accumulate(near[::-1])[::-1]] > 0
+    out, after = room.array(n, bool, level), False
+    for a, e in reversed(list(_spans(n))):
+        part = text[a : e + 1].astype(np.int64)
+        step = np.zeros(e - a, dtype=np.int8)
+        step[: len(part) - 1] = np.sign(part[1:] - part[:-1])
+        if e == n:
+            step[-1] = -1
+        near = np.where(step != 0, np.arange(e - a), e - a)
+        near = np.minimum.accumulate(near[::-1])[::-1]
+        known = near < e - a
+        out[a:e] = np.where(known, step[np.where(known, near, 0)] > 0, after)
+        after = bool(out[a])
+    return out
 
 
 class _Scan:
     """One scan of the induction: what it meets, in order, places its predecessors of one kind."""
 
-    def __init__(self, text, smaller, kind: bool, symbols: int, cap: int, limit: int):
+    def __init__(self, text, smaller, kind: bool, symbols: int, cap: int, room: Room):
         self.text, self.smaller, self.kind, self.cap = text, smaller, kind, cap
-        self.queue = DiskQueue(symbols, limit)
+        self.queue = DiskQueue(symbols, room)
         self.since = np.full(symbols, cap, dtype=np.uint8)  # least shared prefix since the last placed suffix
         self.fresh = np.ones(symbols, dtype=bool)
 
@@ -160,115 +291,269 @@ class _Scan:
             self.queue.put(s, placed[a:e], carried[a:e])
 
 
-def induce(text: np.ndarray, smaller: np.ndarray, sampled: np.ndarray, shared: np.ndarray, symbols: int, cap: int, limit: int = QUEUE_BYTES):
-    """All suffixes from the sampled ones: positions in order, and the prefix each shares with the one before.
+def _first_symbols(text: np.ndarray, sampled: np.ndarray, symbols: int) -> np.ndarray:
+    """Where each symbol's sampled suffixes begin, if these are in order of their first symbols."""
+    count = np.zeros(symbols, dtype=np.int64)
+    for a, e in _spans(len(sampled)):
+        count += np.bincount(text[sampled[a:e]], minlength=symbols)
+    return np.concatenate([[0], np.cumsum(count)])
+
 
-    sampled must be in order; shared belongs to it.
+def induce(text, smaller, sampled, shared, symbols: int, cap: int, room: Room) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All suffixes from the sampled ones, the largest first: positions, and the prefix each shares with the one before.
+
+    sampled must be in order; shared (with the sampled suffix before) belongs to it.
     """
-    kind = sampled.dtype
-    cuts = np.searchsorted(text[sampled], np.arange(symbols + 1))
-    larger: list[list] = []
-    scan = _Scan(text, smaller, False, symbols, cap, limit)
-    scan.meet(np.asarray([len(text)], dtype=kind), np.zeros(1, dtype=np.uint8))
+    cuts = _first_symbols(text, sampled, symbols)
+    larger, kept = [[] for _ in range(symbols)], Spool(room, 0)
+    scan = _Scan(text, smaller, False, symbols, cap, room)
+    scan.meet(np.asarray([len(text)], dtype=sampled.dtype), np.zeros(1, dtype=np.uint8))
 
     def seam(a: int, b: int) -> int:
         return int(shared_prefix(text, np.asarray([a]), np.asarray([b]), cap)[0])
 
     for c in range(symbols):
-        mine = []
+        last = -1
         while (got := scan.queue.take(c)) is not None:
-            mine.append(got)
+            larger[c].append(kept.put(*got))
+            last = int(got[0][-1])
             scan.meet(*got)
-        larger.append(mine)
-        a, e = cuts[c], cuts[c + 1]
-        if e > a:
-            part = shared[a:e].copy()
-            part[0] = seam(int(mine[-1][0][-1]), int(sampled[a])) if mine else 0
-            scan.meet(sampled[a:e], part)
+        for a in range(int(cuts[c]), int(cuts[c + 1]), PIECE):
+            e = min(int(cuts[c + 1]), a + PIECE)
+            part = np.array(shared[a:e])
+            if a == cuts[c]:
+                part[0] = seam(last, int(sampled[a])) if last >= 0 else 0
+            scan.meet(np.asarray(sampled[a:e]), part)
     scan.queue.close()
-    scan = _Scan(text, smaller, True, symbols, cap, limit)
-    blocks: list[list] = []
+    scan = _Scan(text, smaller, True, symbols, cap, room)
     for c in range(symbols - 1, -1, -1):
-        up = []
+        last = -1
         while (got := scan.queue.take(c)) is not None:
-            up.append(got)
+            last = int(got[0][-1])
             scan.meet(*got)
-        out = []
-        if larger[c]:
-            p = np.concatenate([x for x, _ in larger[c]])
-            s = np.concatenate([x for _, x in larger[c]])
-            s[0] = 0
+            yield got
+        above = None  # what the last suffix of a piece shares with the one that was met before
+        while larger[c]:
+            p, s = kept.get(larger[c].pop())
             back = np.empty_like(s)
-            back[0], back[1:] = 0, s[:0:-1]
-            if up:
-                back[0] = seam(int(p[-1]), int(up[-1][0][-1]))
+            back[1:] = s[:0:-1]
+            back[0] = above if above is not None else seam(int(p[-1]), last) if last >= 0 else 0
+            above = s[0]
             scan.meet(p[::-1], back)
-            out.append((p, s))
-        larger[c] = []
-        if up:
-            p = np.concatenate([x for x, _ in up])[::-1]
-            s = np.concatenate([x for _, x in up])[::-1]
-            forth = np.empty_like(s)
-            forth[0], forth[1:] = 0, s[:-1]
-            if out:
-                forth[0] = back[0]
-            out.append((p, forth))
-        blocks.append(out)
+            yield p[::-1], back
     scan.queue.close()
-    parts = [x for block in reversed(blocks) for x in block]
-    return np.concatenate([p for p, _ in parts]), np.concatenate([s for _, s in parts])
+    kept.close()
+
+
+def induce_names(text, smaller, sampled, symbols: int, room: Room, level: int) -> Iterator[np.ndarray]:
+    """Positions of all suffixes of a text of very many symbols, the largest first, from the sampled ones in order."""
+    t, small, n = memoryview(text), memoryview(smaller), len(text)
+    cuts = _first_symbols(text, sampled, symbols).tolist()
+    bounds = room.array(symbols + 1, np.int64, level)
+    larger = room.array(n - int(np.count_nonzero(smaller)), sampled.dtype, level)
+
+    def feed(queue: NameQueue, kind: bool, piece) -> None:
+        lists, put = queue.lists, 0
+        for p in piece:
+            q = p - 1
+            if q >= 0 and small[q] == kind:
+                put += 1
+                s = t[q]
+                if s in lists:
+                    lists[s].append(q)
+                else:
+                    lists[s] = [q]
+        queue.held += put
+        if queue.held > queue.most:
+            queue.spill()
+
+    queue, at, found = NameQueue(False, room, level), 0, []
+    lists, runs = queue.lists, queue.runs
+    feed(queue, False, [n])
+    piece, low = sampled[:PIECE].tolist(), 0  # the sampled positions in hand, and where they begin
+    for c in range(symbols):
+        bounds[c] = at + len(found)
+        while (c in lists) or runs:
+            got = queue.take(c)
+            if not got:
+                break
+            found += got
+            feed(queue, False, got)
+        a, e = cuts[c], cuts[c + 1]
+        while a < e:
+            if a - low >= len(piece):
+                low = a
+                piece = sampled[a : a + PIECE].tolist()
+            mine = piece[a - low : e - low]
+            feed(queue, False, mine)
+            a += len(mine)
+        if len(found) >= PIECE:
+            larger[at : at + len(found)] = found
+            at += len(found)
+            found = []
+    larger[at : at + len(found)] = found
+    bounds[symbols] = at + len(found)
+    queue.close()
+    queue, out = NameQueue(True, room, level), []
+    lists, runs = queue.lists, queue.runs
+    piece, low = [], int(bounds[symbols])  # the larger positions in hand, and where they begin
+    begins = bounds.tolist()
+    for c in range(symbols - 1, -1, -1):
+        while (c in lists) or runs:
+            got = queue.take(c)
+            if not got:
+                break
+            out += got
+            feed(queue, True, got)
+        a, e = begins[c], begins[c + 1]
+        while e > a:
+            if e <= low:
+                low = max(0, e - PIECE)
+                piece = larger[low:e].tolist()
+            mine = piece[max(a, low) - low : e - low]
+            mine.reverse()
+            out += mine
+            feed(queue, True, mine)
+            e -= len(mine)
+        if len(out) >= PIECE:
+            yield np.asarray(out, dtype=sampled.dtype)
+            out = []
+    if out:
+        yield np.asarray(out, dtype=sampled.dtype)
+    queue.close()
+    room.give_back(bounds, larger)
+
+
+def _sampled(smaller: np.ndarray, kind, room: Room, level: int) -> np.ndarray:
+    """Positions of suffixes that are smaller than their successor and follow one that is not."""
+    n, at = len(smaller) - 1, 0
+    out = room.array(sum(int(np.count_nonzero(smaller[a + 1 : e + 1] & ~smaller[a:e])) for a, e in _spans(n)), kind, level)
+    for a, e in _spans(n):
+        part = np.flatnonzero(smaller[a + 1 : e + 1] & ~smaller[a:e]) + (a + 1)
+        out[at : at + len(part)] = part
+        at += len(part)
+    return out
+
+
+def _by_symbol(text: np.ndarray, sampled: np.ndarray, symbols: int, room: Room, level: int) -> np.ndarray:
+    """The sampled positions in order of their first symbol, otherwise as they are."""
+    out, place = room.array(len(sampled), sampled.dtype, level), _first_symbols(text, sampled, symbols)[:-1].copy()
+    for a, e in _spans(len(sampled)):
+        symbol = text[sampled[a:e]]
+        order = np.argsort(symbol, kind="stable")
+        symbol = symbol[order].astype(np.int64)
+        heads = np.flatnonzero(np.concatenate([[True], symbol[1:] != symbol[:-1]]))
+        count = np.diff(np.append(heads, len(symbol)))
+        out[place[symbol] + np.arange(len(symbol)) - np.repeat(heads, count)] = sampled[a:e][order]
+        place[symbol[heads]] += count
+    return out
 
 
-def sort_names(names: np.ndarray, depth: int) -> np.ndarray:
-    """Order of the suffixes of a sequence of names, as far as `depth` names tell, by doubling."""
-    rank, size = names.astype(np.int64), 1
-    n = len(rank)
+def _sorted_samples(text: np.ndarray, sampled: np.ndarray, rough: Iterator[np.ndarray], room: Room, level: int) -> np.ndarray:
+    """The sampled positions in order of their suffixes. rough: all positions by stretches, the largest first."""
+    n, m = len(text), len(sampled)
+    number = room.array(n, sampled.dtype, level)
+    number[:] = -1
+    for a, e in _spans(m):
+        number[sampled[a:e]] = np.arange(a, e)
+    by_stretch, at = room.array(m, sampled.dtype, level), m
+    for positions in rough:
+        of = number[positions[::-1]]
+        of = of[of >= 0]
+        by_stretch[at - len(of) : at] = of
+        at -= len(of)
+    room.give_back(number)
+    del number
+    names, name, previous = room.array(m, np.int32 if m < 2**31 else np.int64, level + 1), 0, None
+
+    def length(of: np.ndarray) -> np.ndarray:
+        after = sampled[np.minimum(of + 1, m - 1)].astype(np.int64)
+        return np.where(of + 1 < m, after, n) - sampled[of]
+
+    for a, e in _spans(m):
+        of = np.asarray(by_stretch[a:e]) if previous is None else np.concatenate([[previous], by_stretch[a:e]])
+        size, p = length(of), sampled[of].astype(np.int64)
+        same = size[1:] == size[:-1]
+        same[same] = _equal(text, p[:-1][same], p[1:][same], size[1:][same] + 1)
+        new = np.concatenate([[name], name + np.cumsum(~same)])
+        names[of] = new
+        name, previous = int(new[-1]), int(of[-1])
+    order = by_stretch if name == m - 1 else sort_names(names, name + 1, room, level + 1)
+    out = room.array(m, sampled.dtype, level)
+    for a, e in _spans(m):
+        out[a:e] = sampled[order[a:e]]
+    room.give_back(names, by_stretch, *([] if order is by_stretch else [order]))
+    return out
+
+
+def sort_names(names: np.ndarray, symbols: int, room: Room, level: int = 1) -> np.ndarray:
+    """Order of the suffixes of a sequence of the names 0..symbols - 1, by the same recursion; once most of them occur
+    a single time, by their ranks and those of what follows, of twice as many names each time."""
+    if len(names) < ALONE * symbols and len(names) * 40 <= max(room.limit, FEW):
+        return _double(names)
+    smaller = kinds(names, room, level)
+    kind = np.int32 if len(names) < 2**31 - 1 else np.int64
+    sampled = _sampled(smaller, kind, room, level)
+    if len(sampled) > 1:
+        start = _by_symbol(names, sampled, symbols, room, level)
+        sampled = _sorted_samples(names, sampled, induce_names(names, smaller, start, symbols, room, level), room, level)
+        room.give_back(start)
+    order, at = room.array(len(names), kind, level), len(names)
+    for positions in induce_names(names, smaller, sampled, symbols, room, level):
+        order[at - len(positions) : at] = positions[::-1]
+        at -= len(positions)
+    room.give_back(smaller, sampled)
+    return order
+
+
+def _double(names: np.ndarray) -> np.ndarray:
+    rank, size, n = names.astype(np.int64), 1, len(names)
     while True:
         key = rank * (n + 1)
         key[:-size] += rank[size:] + 1
         order = np.argsort(key, kind="stable")
-        sorted_key = key[order]
-        new = np.empty(n, dtype=np.int64)
-        new[order] = np.concatenate([[0], np.cumsum(sorted_key[1:] != sorted_key[:-1])])
-        rank, size = new, size * 2
-        if size >= depth or size >= n or rank[order[-1]] == n - 1:
+        in_order = key[order]
+        rank = np.empty(n, dtype=np.int64)
+        rank[order] = np.concatenate([[0], np.cumsum(in_order[1:] != in_order[:-1])])
+        size *= 2
+        if size >= n or rank[order[-1]] == n - 1:
             return order
 
 
-def suffix_array(text: np.ndarray, cap: int, symbols: int, limit: int = QUEUE_BYTES) -> tuple[np.ndarray, np.ndarray]:
-    """Positions of all suffixes in order of their first `cap` symbols, and shared prefixes (up to cap) of neighbours.
+def suffixes(text: np.ndarray, cap: int, symbols: int, room: Room) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All suffixes, the largest first: positions, and the prefix (up to cap) that each shares with the one before.
 
     text: small non-negative integers below `symbols`.
     """
     n = len(text)
     if n == 0:
-        return np.zeros(0, dtype=np.int32), np.zeros(0, dtype=np.uint8)
+        return
     kind = np.int32 if n < 2**31 - 1 else np.int64
-    smaller = kinds(text)
-    sampled = np.flatnonzero(smaller[1:] & ~smaller[:-1]).astype(kind) + kind(1)
+    smaller = kinds(text, room, 0)
+    sampled = _sampled(smaller, kind, room, 0)
     if len(sampled) > 1:
         # Induction from the sampled positions in order of their first symbol sorts the stretches between them.
-        start = sampled[np.argsort(text[sampled], kind="stable")]
-        rough, _ = induce(text, smaller, start, np.zeros(len(start), dtype=np.uint8), symbols, 1, limit)
-        is_sampled = np.zeros(n, dtype=bool)
-        is_sampled[sampled] = True
-        by_stretch = rough[is_sampled[rough]]
-        del rough
-        number = np.zeros(n, dtype=kind)
-        number[sampled] = np.arange(len(sampled))
-        which = number[by_stretch]
-        length = np.append(np.diff(sampled), n - sampled[-1])[which]
-        a, b = by_stretch[:-1], by_stretch[1:]
-        same = length[1:] == length[:-1]
-        same[same] = _equal(text, a[same], b[same], length[1:][same] + 1)
-        names = np.empty(len(sampled), dtype=np.int64)
-        names[which] = np.concatenate([[0], np.cumsum(~same)])
-        order = which if names.max() == len(names) - 1 else sort_names(names, cap)
-        sampled = sampled[order]
-    shared = np.zeros(len(sampled), dtype=np.uint8)
-    if len(sampled) > 1:
-        shared[1:] = shared_prefix(text, sampled[:-1], sampled[1:], cap)
-    return induce(text, smaller, sampled, shared, symbols, cap, limit)
+        start = _by_symbol(text, sampled, symbols, room, 0)
+        none = room.array(len(start), np.uint8, 0)
+        none[:] = 0
+        rough = (p for p, _ in induce(text, smaller, start, none, symbols, 1, room))
+        sampled = _sorted_samples(text, sampled, rough, room, 0)
+        room.give_back(start, none)
+    shared = room.array(len(sampled), np.uint8, 0)
+    for a, e in _spans(len(sampled)):
+        low = max(a, 1)
+        shared[low:e] = shared_prefix(text, sampled[low - 1 : e - 1], sampled[low:e], cap)
+    shared[:1] = 0
+    yield from induce(text, smaller, sampled, shared, symbols, cap, room)
+
+
+def suffix_array(text: np.ndarray, cap: int, symbols: int, room: Room | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of all suffixes in order, and shared prefixes (up to cap) of neighbours, as arrays."""
+    got = list(suffixes(text, cap, symbols, room or Room()))
+    if not got:
+        return np.zeros(0, dtype=np.int32), np.zeros(0, dtype=np.uint8)
+    shared = np.concatenate([s for _, s in got])[::-1]
+    return np.concatenate([p for p, _ in got])[::-1], np.concatenate([[0], shared[:-1]]).astype(np.uint8)
 
 
 def _equal(text: np.ndarray, a: np.ndarray, b: np.ndarray, length: np.ndarray) -> np.ndarray:

@@ -9,7 +9,8 @@ probabilities never changes, so the copies of a source come out at the number th
 Blocks of a source, of documents of like size, are rounded by themselves; each leaves one document open at most.
 Those residuals meet in a reduction tree: groups of up to FAN_IN blocks of a source are rounded in the next level, again
 until one is left for the source. Draws are hashes of the ids and a seed, and blocks depend on hashes of ids alone, so
-a rerun agrees however the input is partitioned. No task gets more than a block, whatever share a source has.
+a rerun agrees however the input is partitioned. Rows that repeat an id have numbers of their own and hash by these as
+well, so no task gets more than a block, whatever share a source or an id has.
 
 Defined cases: a null text has size 0; null sources are a source of their own, after the others; sources of size 0 get
 target 0 and none of their documents is taken; rows that repeat an id are documents each; an empty table gives no rows;
@@ -25,11 +26,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, StructField, StructType
 
-from edgefold.llm.shared import long_id, prepare, settle, table
+from edgefold.llm.shared import long_id, numbered, prepare, settle, table
 
 WEIGHTS = (1.0, 2.0, 3.0)
 MOST_TIMES = 3.0
-BLOCK = 4_096
+BLOCK = 1_024
 FAN_IN = 256
 SEED = 7
 
@@ -102,24 +103,30 @@ def _round_blocks(rows: DataFrame, block: list[str], level: int, seed: int) -> D
     return rows.groupBy(*block).applyInPandas(run, StructType([*rows.schema.fields, StructField("open", BooleanType())]))
 
 
+def _numbered(docs: DataFrame) -> DataFrame:
+    """docs with nth: its number among rows of one id. Those of one source and size may stand in for each other."""
+    return numbered(docs, ["doc_id"], [F.col("source"), F.col("size")])
+
+
 def copies(docs: DataFrame, *, seed: int = SEED, weights: tuple[float, ...] = WEIGHTS, most_times: float = MOST_TIMES) -> DataFrame:
-    """doc_id, size, source_size, target, copies. docs: doc_id, source, size."""
-    keyed = long_id(docs.select("doc_id", "source", "size"), "doc_id")
+    """doc_id, size, source_size, target, nth, copies. docs: doc_id, source, size, and nth where rows have numbers already."""
+    docs = long_id(docs, "doc_id")
+    keyed = (docs if "nth" in docs.columns else _numbered(docs)).select("doc_id", "source", "size", "nth")
     sizes = keyed.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n"))
     aims = settle(targets(sizes, weights=weights, most_times=most_times))
     source_key = F.xxhash64(F.coalesce(keyed["source"], F.lit("")), keyed["source"].isNull())
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     # Sources that have the same name in both; the smaller side has a row for each source.
     joined = keyed.join(aims, keyed["source"].eqNullSafe(aims["source"])).select(
-        "doc_id", keyed["source"], "size", "source_size", "target", source_key.alias("source_key"), ratio.alias("ratio"), "n"
+        "doc_id", keyed["source"], "size", "nth", "source_size", "target", source_key.alias("source_key"), ratio.alias("ratio"), "n"
     )
-    salt = F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.ceil(F.col("n") / BLOCK))
+    salt = F.pmod(F.xxhash64("doc_id", "nth", F.lit(seed)), F.ceil(F.col("n") / BLOCK))
     base = F.floor("ratio")
     wanted = settle(
         joined.withColumn("base", base.cast("long")).select(
-            "doc_id", "source", "size", "source_size", "target", "source_key", "base",
+            "doc_id", "source", "size", "nth", "source_size", "target", "source_key", "base",
             (F.col("ratio") - F.col("base")).alias("p"),
-            F.xxhash64("doc_id", "size").alias("row"),
+            F.xxhash64("doc_id", "size", "nth").alias("row"),
             F.floor(F.log2(F.col("size") + 1)).cast("long").alias("bucket"), salt.cast("long").alias("salt"),
         )
     )
@@ -143,21 +150,19 @@ def copies(docs: DataFrame, *, seed: int = SEED, weights: tuple[float, ...] = WE
     whole = done[0]
     for more in done[1:]:
         whole = whole.unionByName(more)
-    return whole.select("doc_id", "source", "size", "source_size", "target", (F.col("base") + F.col("p").cast("long")).alias("copies"))
+    return whole.select("doc_id", "source", "size", "nth", "source_size", "target", (F.col("base") + F.col("p").cast("long")).alias("copies"))
 
 
 def mix(docs: DataFrame, *, seed: int = SEED, weights: tuple[float, ...] = WEIGHTS, most_times: float = MOST_TIMES) -> DataFrame:
     """The documents of the mix with all their columns, each as often as it is taken."""
     prepare(docs.sparkSession)
-    mine = docs.withColumn("mixed_size", word_count("text"))
-    taken = copies(mine.select("doc_id", "source", F.col("mixed_size").alias("size")), seed=seed, weights=weights, most_times=most_times)
-    # Rows that repeat an id are told apart by their number; those of one source and size may stand in for each other.
-    mine = mine.withColumn("mixed_nth", F.row_number().over(Window.partitionBy("doc_id").orderBy("source", "mixed_size")))
-    nth = F.row_number().over(Window.partitionBy("doc_id").orderBy("source", "size"))
-    taken = taken.select(F.col("doc_id").alias("mixed_id"), nth.alias("taken_nth"), F.col("copies").alias("mixed_copies"))
-    same = mine["doc_id"].eqNullSafe(taken["mixed_id"]) & (mine["mixed_nth"] == taken["taken_nth"])
-    both = mine.join(taken.where("mixed_copies > 0"), same)
-    return both.withColumn("mixed_copies", F.explode(F.sequence(F.lit(1), F.col("mixed_copies").cast("int")))).select(*[docs[c] for c in docs.columns])
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
+    mine = _numbered(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", word_count("text").alias("size"), row))
+    taken = copies(mine.select("doc_id", "source", "size", "nth"), seed=seed, weights=weights, most_times=most_times)
+    taken = taken.where("copies > 0").select(*[F.col(c).alias(f"of_{c}") for c in ("doc_id", "source", "size", "nth")], "copies")
+    same = [mine[c].eqNullSafe(taken[f"of_{c}"]) for c in ("doc_id", "source", "size", "nth")]
+    times = F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("time")
+    return mine.join(taken, same).select("row", times).select("row.*")
 
 
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,9 +9,10 @@ count; the value of each is the log of one plus its count in the whole text.
 Fitting takes at most `sample_docs` labelled documents, those with the least hash of doc_id; words and models are chosen
 on these alone. Prediction covers every document.
 
-Defined cases: a null text is empty; labels that are null are left out of their category; with no labelled documents, or
-a category with one value alone, the probability is that of the value seen (0 with none); repeated rows are predicted
-each; an empty table gives no rows; columns other than those named are ignored, and kept by `keep_clean`.
+Defined cases: a null text is empty; labels that are null are left out of their category; of several labels of one
+document the greatest counts; with no labelled documents, or a category with one value alone, the probability is that of
+the value seen (0 with none); repeated rows are predicted each; an empty table gives no rows; columns other than those
+named are ignored, and kept by `keep_clean`.
 """
 
 from __future__ import annotations
@@ -144,7 +145,7 @@ def fit_chain(ids: list[int], counts: list[Counter], labels: np.ndarray, categor
 def train(docs: DataFrame, labels: DataFrame, *, categories: tuple[str, ...] = CHAIN, sample_docs: int = SAMPLE_DOCS) -> Chain:
     """labels: doc_id and a 0/1 column for each category. At most `sample_docs` documents' word counts reach the driver."""
     prepare(docs.sparkSession)
-    known = long_id(labels.select("doc_id", *categories), "doc_id").where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])
+    known = long_id(labels.select("doc_id", *categories), "doc_id").where("doc_id IS NOT NULL").groupBy("doc_id").agg(*[F.max(c).alias(c) for c in categories])
     sample = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
     texts = long_id(docs.select("doc_id", "text"), "doc_id").join(F.broadcast(sample), "doc_id")
 

@@ -81,3 +81,20 @@ def test_mix_and_odd_rows(spark):
         mixing.BLOCK, mixing.FAN_IN = block, fan
     want = brute_targets({"s": 26660, "r": 3340})
     assert all(abs(total[s] - want[s]) <= 10 for s in want)
+
+
+def test_hot_ids_are_dealt_apart(spark, monkeypatch):
+    """All rows without an id, many of them alike: no block gets more than its share, and reruns agree."""
+    monkeypatch.setattr(mixing, "BLOCK", 64)
+    df = spark.range(1500).select(F.lit(None).cast("long").alias("doc_id"), F.lit("a").alias("source"), (F.col("id") % 3 + 40).alias("size")).repartition(7)
+    df = df.unionByName(spark.range(500).select((F.col("id") % 5).alias("doc_id"), F.lit("b").alias("source"), F.lit(40).cast("long").alias("size")))
+    numbered = mixing._numbered(df).persist()
+    assert numbered.count() == 2000
+    per = {r["doc_id"]: (r["n"], r["low"], r["high"], r["d"]) for r in numbered.groupBy("doc_id").agg(F.count("*").alias("n"), F.min("nth").alias("low"), F.max("nth").alias("high"), F.count_distinct("nth").alias("d")).collect()}
+    assert per == {None: (1500, 0, 1499, 1500)} | {k: (100, 0, 99, 100) for k in range(5)}
+    blocks = numbered.groupBy(F.pmod(F.xxhash64("doc_id", "nth", F.lit(mixing.SEED)), F.lit(24)).alias("b")).count().collect()
+    assert max(r["count"] for r in blocks) < 200
+    key = lambda d: sorted(map(str, d.select("doc_id", "source", "size", "copies").collect()))
+    assert key(mixing.copies(df)) == key(mixing.copies(df.repartition(3)))
+    sums = {r["source"]: (r["s"], r["t"]) for r in mixing.copies(df).groupBy("source").agg(F.sum(F.col("copies") * F.col("size")).alias("s"), F.max("target").alias("t")).collect()}
+    assert all(abs(s - t) <= 130 for s, t in sums.values())

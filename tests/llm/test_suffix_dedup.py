@@ -29,7 +29,7 @@ def test_suffix_array_and_shared_prefixes_are_exact():
         if it % 5 == 0:
             t = np.tile(t[:7], 12)[: n + 20]
         seq = t.tolist()
-        order, shared = induced_sort.suffix_array(t, cap, s + 1, limit=64 if it % 2 else 1 << 20)
+        order, shared = induced_sort.suffix_array(t, cap, s + 1, induced_sort.Room(64 if it % 2 else 1 << 20))
         assert sorted(order.tolist()) == list(range(len(seq)))
         for k in range(1, len(seq)):
             a, b = seq[order[k - 1] :], seq[order[k] :]
@@ -38,14 +38,53 @@ def test_suffix_array_and_shared_prefixes_are_exact():
 
 
 def test_queue_spills_and_keeps_order():
-    queue = induced_sort.DiskQueue(2, limit=100)
+    room = induced_sort.Room(limit=400)
+    queue = induced_sort.DiskQueue(2, room, level=3)
     for i in range(10):
         queue.put(1, np.arange(i * 10, i * 10 + 10, dtype=np.int32), np.full(10, i, dtype=np.uint8))
-    assert queue.spilled > 0
+    assert room.spilled[3] > 0
     positions, shared = queue.take(1)
     assert positions.tolist() == list(range(100)) and shared[::10].tolist() == list(range(10)) and queue.take(0) is None
 
 
+@pytest.mark.parametrize("descending", [False, True])
+def test_queue_of_names_merges_its_runs(descending):
+    draw = np.random.default_rng(2)
+    queue = induced_sort.NameQueue(descending, induced_sort.Room(0), 1)
+    want = {}
+    for p in range(2000):
+        s = int(draw.integers(0, 300))
+        want.setdefault(s, []).append(p)
+        queue.lists.setdefault(s, []).append(p)
+        queue.held += 1
+        if queue.held > queue.most:
+            queue.spill()
+    assert len(queue.runs) > 20
+    for s in sorted(want, reverse=descending):
+        got = []
+        while piece := queue.take(s):
+            got += piece
+        assert got == want[s]
+    assert queue.runs == [] and queue.lists == {}
+
+
+def test_sort_spills_on_every_level_and_stays_exact(monkeypatch):
+    """Memory for the sort is a fiftieth of what its arrays take; names need several levels."""
+    monkeypatch.setattr(induced_sort, "PIECE", 700)
+    draw = np.random.default_rng(8)
+    words = ["".join(chr(97 + c) for c in draw.integers(0, 6, k)) for k in draw.integers(2, 9, 60)]
+    phrases = [" ".join(draw.choice(words, 12)) for _ in range(30)]
+    text = np.frombuffer(". ".join(draw.choice(phrases, 250)).encode(), np.uint8).astype(np.uint16)
+    room = induced_sort.Room(limit=3_000)
+    order, shared = induced_sort.suffix_array(text, 100, 257, room)
+    plain = induced_sort.suffix_array(text, 100, 257, induced_sort.Room(1 << 30))
+    assert (order == plain[0]).all() and (shared == plain[1]).all()
+    raw = text.astype(np.uint8).tobytes()
+    assert order.tolist() == sorted(range(len(raw)), key=lambda i: raw[i:])
+    assert len(raw) * 10 > 50 * room.limit and sorted(room.spilled) == list(range(len(room.spilled))) and len(room.spilled) >= 4
+    assert all(size > 1_000 for size in list(room.spilled.values())[:3])
+
+
 def test_equal_windows_have_equal_anchors():
     draw = np.random.default_rng(3)
     raw = bytes(draw.integers(97, 101, 4000).tolist())
@@ -86,6 +125,52 @@ def test_odd_rows(spark):
     assert sd.repeats(df.limit(0)).collect() == [] and sd.remove_repeats(df.limit(0)).collect() == []
 
 
+def joined_of(contexts, limit):
+    import pyarrow as pa
+
+    joined = sd._Joined(limit)
+    for at in range(0, len(contexts), 7):
+        part = contexts[at : at + 7]
+        about = np.asarray([np.arange(at, at + len(part)), np.zeros(len(part)), 10 * np.arange(at, at + len(part))], dtype=np.int64)
+        joined.add(about, pa.array([b"", *part, b""], pa.binary()).slice(1, len(part)))
+    return joined
+
+
+@pytest.mark.parametrize("limit", [2_000, 1 << 24])
+def test_a_shard_far_larger_than_memory(monkeypatch, limit):
+    """Windows of contexts that earlier ones equal, against a set of all windows, with all of the sort on disk."""
+    monkeypatch.setattr(induced_sort, "PIECE", 500)
+    draw = np.random.default_rng(4)
+    base = bytes(draw.integers(97, 101, 3_000).tolist())
+    contexts = [base[a : a + n] for a, n in zip(draw.integers(0, 2_800, 90).tolist(), draw.integers(100, 180, 90).tolist())] + [b"q" * 170, b"q" * 150]
+    room, seen, want = induced_sort.Room(limit), set(), set()
+    for doc, c in enumerate(contexts):
+        for p in range(len(c) - 99):
+            if c[p : p + 100] in seen:
+                want.add((doc, 10 * doc + p))
+            seen.add(c[p : p + 100])
+    got = set()
+    for docs, _, starts, ends in sd.repeated_windows(joined_of(contexts, limit), 100, room):
+        for d, s, e in zip(docs.tolist(), starts.tolist(), ends.tolist()):
+            new = {(d, p) for p in range(s, e - 99)}
+            assert not new & got
+            got |= new
+    assert got == want and bool(room.spilled) == (limit == 2_000)
+    assert sum(map(len, contexts)) > 5 * 2_000
+
+
+def test_an_anchor_that_everybody_shares_is_split(spark, monkeypatch):
+    """A phrase with other text around it in each document, longer and shorter than a window, and some true repeats."""
+    monkeypatch.setattr(sd, "HOT", 5)
+    draw = np.random.default_rng(6)
+    word = lambda n: "".join(chr(97 + c) for c in draw.integers(0, 26, n))
+    short, long = word(60), word(130)
+    rows = [(i, word(90) + short + word(40) + long + word(80)) for i in range(60)]
+    rows += [(100 + i, rows[i][1][30:200]) for i in range(10)] + [(200, rows[3][1]), (None, long[:101]), (None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    assert rows_of(sd.repeats(df)) == brute(rows)
+
+
 @pytest.mark.parametrize("size", [300, 1000])
 def test_small_shards_give_the_same(spark, monkeypatch, size):
     monkeypatch.setattr(sd, "SORTED", size)
@@ -95,3 +180,14 @@ def test_small_shards_give_the_same(spark, monkeypatch, size):
     rows = [(i, base[a : a + 300] + str(i)) for i, a in enumerate(draw.integers(0, 600, 12).tolist())]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     assert rows_of(sd.repeats(df)) == brute(rows)
+
+
+def test_rows_without_an_id_and_very_long_texts(spark):
+    """Half of the rows have no id; their order is that of their texts' beginnings, and one text is long."""
+    draw = np.random.default_rng(12)
+    word = lambda n: "".join(chr(97 + c) for c in draw.integers(0, 26, n))
+    shared = word(300)
+    rows = [(None, f"{i:03}" + word(50) + shared[i : 150 + i]) for i in range(60)] + [(None, None)] * 5
+    rows += [(3, word(120_000) + shared + word(120_000)), (4, shared + word(30)), (5, "ab" * 40_000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    assert rows_of(sd.repeats(df)) == brute(rows)
