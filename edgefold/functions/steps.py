@@ -51,6 +51,8 @@ class Step:
 
     element: of a pair (ops, x, y, a), a scale (ops, s, a), a weigh (ops, h, operand).
     A fold maps elements, combines them from a start and finishes; a collect names the reduction over the neighbours.
+    A fold of the two ends (rather than of the pair vector) maps x and y (`ends`); the pair vector stays for weigh.
+    A user's collect has a reduction of columns (`aggregate`), or of one target's messages as a matrix (`batch`).
     sql: the same on element names, for SQL engines.
     """
 
@@ -69,6 +71,8 @@ class Step:
     params: tuple = ()
     vector: Any = None
     batch: Callable[..., Any] | None = None
+    ends: Callable[..., Any] | None = None
+    aggregate: Callable[..., Any] | None = None
 
 
 NOOP = None
@@ -164,6 +168,23 @@ def fold_max():
     return Step("fold", "FMAX", fold_join=lambda o, a, b: o.greatest(a, b), fold_start=float("-inf"), sql="max({})")
 
 
+def _of_ends(name, f, reads, sql):
+    return Step("fold", name, reads=frozenset(reads), fold_join=lambda o, p, q: p + q, sql=sql, ends=f)
+
+
+def dot_ends():
+    """The dot product of both ends, whatever the pair vector is."""
+    return _of_ends("DOT", lambda o, x, y: x * y, "xy", "sum(xv * yv)")
+
+
+def sum_left():
+    return _of_ends("LSUM", lambda o, x, y: x, "x", "sum(xv)")
+
+
+def sum_right():
+    return _of_ends("NSUM", lambda o, x, y: y, "y", "sum(yv)")
+
+
 def _scale(name, f, sql, reads="", params=()):
     return Step("scale", name, f, frozenset(reads), sql, params=params)
 
@@ -241,7 +262,13 @@ def step(kind: str, expr=None, batch=None, *, reads: str = "xy", name: str = "US
     """A user's step. expr: on elements (ops, ...), for columns and matrices; batch: on matrices alone.
 
     What a pair gets is x, y and a; a scale s and a; a weigh h and its operand; a fold the matrix, and gives one column.
+    For a collect, expr makes an aggregate of a column of messages, for the relational strategies, and batch reduces the
+    matrix of one target's messages to a row, for the packed one; either or both.
     """
+    if kind == "collect":
+        if expr is None and batch is None:
+            raise ValueError("a collect needs expr or batch")
+        return Step(kind, name, reduce="user", init="identity", aggregate=expr, batch=batch, sql=sql)
     if (expr is None) == (batch is None):
         raise ValueError("give one of expr and batch")
     if kind not in ("pair", "fold", "scale", "weigh"):
@@ -251,19 +278,21 @@ def step(kind: str, expr=None, batch=None, *, reads: str = "xy", name: str = "US
     return Step(kind, name, expr, frozenset(reads), sql, operand=operand, batch=batch)
 
 
-def wide_fold(f: Step, values: list[Column]) -> Column:
-    mapped = [f.fold_map(ColumnOps, v) for v in values]
+def wide_fold(f: Step, values: list[Column], x: list[Column], y: list[Column]) -> Column:
+    mapped = [f.fold_map(ColumnOps, v) for v in values] if f.ends is None else [f.ends(ColumnOps, a, b) for a, b in zip(x, y, strict=True)]
     return f.fold_end(ColumnOps, functools.reduce(functools.partial(f.fold_join, ColumnOps), mapped))
 
 
-def array_fold(f: Step, values: Column) -> Column:
+def array_fold(f: Step, values: Column, x: Column, y: Column) -> Column:
+    if f.ends is not None:
+        values = F.zip_with(x, y, lambda a, b: f.ends(ColumnOps, a, b))
     joined = F.aggregate(values, F.lit(f.fold_start), lambda acc, v: f.fold_join(ColumnOps, acc, f.fold_map(ColumnOps, v)))
     return f.fold_end(ColumnOps, joined)
 
 
-def matrix_fold(f: Step, values: np.ndarray) -> np.ndarray:
+def matrix_fold(f: Step, values: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
     if f.batch is not None:
         return np.asarray(f.batch(values)).reshape(len(values), 1)
-    mapped = f.fold_map(ArrayOps, values)
+    mapped = f.fold_map(ArrayOps, values) if f.ends is None else f.ends(ArrayOps, x, y)
     out = functools.reduce(functools.partial(f.fold_join, ArrayOps), [mapped[:, i] for i in range(mapped.shape[1])])
     return f.fold_end(ArrayOps, out)[:, None]

@@ -69,26 +69,19 @@ def isolated(ids: DataFrame, edges: DataFrame) -> DataFrame:
     return ids.join(edges.select("u"), "u", "left_anti")
 
 
-def similar_pairs(x: DataFrame, tau: float) -> DataFrame:
-    """(u, v, a), u < v: pairs of vectors with a dot product of tau or more. Exact, in blocks against a shipped matrix."""
+def similar_pairs(x: DataFrame, tau: float, block: int | None = None) -> DataFrame:
+    """(u, v, a), u < v: pairs of vectors with a dot product of tau or more. Exact, every vector against every block of them."""
     import numpy as np
     import pyarrow as pa
 
-    from edgefold.operators.fused import ship
+    from edgefold.operators.products import blockwise
 
-    shipped = ship(x)
+    def solve(own, rows, ids, matrix):
+        s = rows @ matrix.T
+        i, j = np.nonzero((s >= tau) & (own[:, None] < ids[None, :]))
+        return pa.RecordBatch.from_arrays([pa.array(own[i]), pa.array(ids[j]), pa.array(s[i, j])], ["u", "v", "a"])
 
-    def run(found):
-        ids, matrix = shipped.value
-        for b in found:
-            own = b.column(0).to_numpy(zero_copy_only=False)
-            rows = np.asarray(b.column(1).flatten(), dtype=np.float64).reshape(len(own), -1)
-            for at in range(0, len(own), 256):
-                s = rows[at : at + 256] @ matrix.T
-                i, j = np.nonzero((s >= tau) & (own[at : at + 256, None] < ids[None, :]))
-                yield pa.RecordBatch.from_arrays([pa.array(own[at + i]), pa.array(ids[j]), pa.array(s[i, j])], ["u", "v", "a"])
-
-    return x.select("id", "x").mapInArrow(run, "u long, v long, a double")
+    return blockwise(x, solve, block)[0]
 
 
 def assign_parts(prefix: DataFrame, bounds: DataFrame, width: int | None = None) -> DataFrame:
@@ -114,12 +107,19 @@ def asof_features(events: DataFrame, versions: DataFrame, key: str, at: str, sin
     return both.select(key, F.col("__t").alias(at), *[F.col(f"__e.{c}").alias(c) for c in extra], *[F.col(f"__v.{c}").alias(c) for c in values])
 
 
-def interval_edges(left: DataFrame, right: DataFrame, seconds: int) -> DataFrame:
-    """(u, v, a): users of left and right events at most `seconds` apart, counted. Times (t) in seconds; joined by buckets."""
-    lo = left.select(F.col("user_id").alias("u"), F.col("t").alias("t1"), F.floor(F.col("t") / seconds).alias("bucket"))
-    hi = right.select(F.col("user_id").alias("v"), F.col("t").alias("t2"), F.explode(F.array(*[F.floor(F.col("t") / seconds) + k for k in (-1, 0, 1)])).alias("bucket"))
-    near = lo.join(hi, "bucket").where((F.abs(F.col("t1") - F.col("t2")) <= seconds) & (F.col("u") != F.col("v")))
-    return near.groupBy("u", "v").agg(F.count("*").alias("a"))
+def interval_edges(left: DataFrame, right: DataFrame, seconds: int, salts: int = 8) -> DataFrame:
+    """(u, v, a): users of left and right events at most `seconds` apart, counted. Times (t) in seconds.
+
+    Events of one user and second count once, with a number, before they meet; they meet in buckets of time, which are
+    split: those of the left side are dealt into `salts` places, those of the right side go to each.
+    """
+    lo = left.groupBy(F.col("user_id").alias("u"), F.col("t").alias("t1")).agg(F.count("*").alias("n1"))
+    hi = right.groupBy(F.col("user_id").alias("v"), F.col("t").alias("t2")).agg(F.count("*").alias("n2"))
+    lo = lo.select("*", F.floor(F.col("t1") / seconds).alias("bucket"), F.pmod(F.xxhash64("u", "t1"), F.lit(salts)).cast("int").alias("salt"))
+    hi = hi.select("*", F.explode(F.array(*[F.floor(F.col("t2") / seconds) + k for k in (-1, 0, 1)])).alias("bucket"))
+    hi = hi.select("*", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    near = lo.join(hi, ["bucket", "salt"]).where((F.abs(F.col("t1") - F.col("t2")) <= seconds) & (F.col("u") != F.col("v")))
+    return near.groupBy("u", "v").agg(F.sum(F.col("n1") * F.col("n2")).alias("a"))
 
 
 def rank_neighbours(edges: DataFrame) -> DataFrame:
@@ -138,6 +138,11 @@ def _draw(seed: int, *columns: str):
     return F.md5(F.concat_ws(":", F.lit(str(seed)), *[F.col(c).cast("string") for c in columns]))
 
 
+def drawn(seed: int, *columns: str):
+    """32 bits of a digest of the seed and the columns, the same in every engine."""
+    return F.conv(F.substring(_draw(seed, *columns), 1, 8), 16, 10).cast("long")
+
+
 def sample_neighbours(edges: DataFrame, k: int, seed: int = 0) -> DataFrame:
     """k neighbours of each target, by the order of a digest: the same whenever and wherever it is run."""
     w = Window.partitionBy("u").orderBy(_draw(seed, "u", "v"), "v")
@@ -146,8 +151,8 @@ def sample_neighbours(edges: DataFrame, k: int, seed: int = 0) -> DataFrame:
 
 def negatives(ids: DataFrame, n: int, k: int, seed: int = 0) -> DataFrame:
     """(u, v): k vertices for each of ids, drawn with replacement from 0..n-1 by a digest."""
-    drawn = ids.select("u", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("j"))
-    return drawn.select("u", F.pmod(F.conv(F.substring(_draw(seed, "u", "j"), 1, 8), 16, 10).cast("long"), F.lit(n)).alias("v"))
+    each = ids.select("u", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("j"))
+    return each.select("u", F.pmod(drawn(seed, "u", "j"), F.lit(n)).alias("v"))
 
 
 def edge_set(one: DataFrame, other: DataFrame, kind: str, all: bool = False) -> DataFrame:

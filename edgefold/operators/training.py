@@ -13,11 +13,15 @@ from pyspark.sql import functions as F
 
 from edgefold.operators import edges as E
 from edgefold.operators.fused import fused_fold
-from edgefold.operators.two_phase import two_phase
+from edgefold.operators.two_phase import tensor_operations, two_phase
 from edgefold.plans.program import embedding_pull, sigmoid_embedding
 from edgefold.sources import features
 
 
+#: How an epoch's folds are done: the fused one, messages stored between two phases, or generic tensor operations.
+METHODS = {"fused": fused_fold, "two_phase": two_phase, "tensor": tensor_operations}
+
+
 def _move(x: DataFrame, pull: DataFrame, push: DataFrame, lr: float) -> DataFrame:
     p, n = pull.select(F.col("u").alias("id"), F.col("z").alias("pull")), push.select(F.col("u").alias("id"), F.col("z").alias("push"))
     both = x.join(p, "id", "left").join(n, "id", "left")
@@ -26,17 +30,17 @@ def _move(x: DataFrame, pull: DataFrame, push: DataFrame, lr: float) -> DataFram
     return both.select("id", F.zip_with("x", step, lambda v, s: v + s).alias("x"))
 
 
-def epoch(edges: DataFrame, x: DataFrame, *, n: int, d: int, batches: int, lr: float, negatives: int, seed: int, checkpoint_every: int = 1, method: str = "fused") -> DataFrame:
-    """One pass over all targets, in batches by hash of the id; returns the new features (id, x).
+def epoch(edges: DataFrame, x: DataFrame, *, n: int, d: int, batches: int, lr: float, negatives: int, seed: int, checkpoint_every: int = 1, method: str = "fused", strategy: str = "relational") -> DataFrame:
+    """One pass over all targets, in batches by a digest of the id; returns the new features (id, x).
 
     n: ids are 0..n-1. The features are checkpointed after every `checkpoint_every` batches: each batch reads them five times, so an uncut
     lineage would grow fivefold with each.
     """
-    fold = fused_fold if method == "fused" else two_phase
-    options = {"strategy": "relational"} if method == "fused" else {}
+    fold = METHODS[method]
+    options = {"strategy": strategy} if method == "fused" else {}
     ids = x.select(F.col("id").alias("u"))
     for k in range(batches):
-        mine = ids.where(F.pmod(F.xxhash64("u", F.lit(seed)), F.lit(batches)) == k)
+        mine = ids.where(E.drawn(seed, "u") % batches == k)
         near = E.slice_rows(edges, mine)
         far = E.negatives(mine, n, negatives, seed * 1000 + k).where("u <> v").withColumn("a", F.lit(1.0))
         pull = fold(near, x, x, embedding_pull(), d=d, **options)
@@ -47,7 +51,7 @@ def epoch(edges: DataFrame, x: DataFrame, *, n: int, d: int, batches: int, lr: f
     return x
 
 
-def train_embedding(edges: DataFrame, ids: DataFrame, *, d: int = 32, batches: int = 1, epochs: int = 1, lr: float = 0.05, negatives: int = 5, seed: int = 1, checkpoint_every: int = 1, method: str = "fused"):
+def train_embedding(edges: DataFrame, ids: DataFrame, *, d: int = 32, batches: int = 1, epochs: int = 1, lr: float = 0.05, negatives: int = 5, seed: int = 1, checkpoint_every: int = 1, method: str = "fused", strategy: str = "relational"):
     """(features, seconds of each epoch). ids: (u), which run from 0 to n - 1."""
     from edgefold.operators.two_phase import _shared
 
@@ -56,7 +60,7 @@ def train_embedding(edges: DataFrame, ids: DataFrame, *, d: int = 32, batches: i
     edges = edges.persist()
     for e in range(epochs):
         t = time.time()
-        x = epoch(edges, x, n=n, d=d, batches=batches, lr=lr, negatives=negatives, seed=seed + e, checkpoint_every=checkpoint_every, method=method)
+        x = epoch(edges, x, n=n, d=d, batches=batches, lr=lr, negatives=negatives, seed=seed + e, checkpoint_every=checkpoint_every, method=method, strategy=strategy)
         seconds.append(time.time() - t)
     edges.unpersist()
     return x, seconds

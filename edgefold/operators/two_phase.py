@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgefold.functions import steps as S
-from edgefold.operators.fused import _reduction, _relational, _start, array_message, complete, gather, matrix_message, ship
+from edgefold.operators.fused import _reduction, _start, _wide_message, array_message, complete, gather, ship
 from edgefold.operators.packed import chunk_rows
 from edgefold.plans.program import Program, check
 
@@ -24,11 +24,17 @@ def store(df: DataFrame, path: str | None = None) -> DataFrame:
 
 
 def _shared(spark) -> str:
+    """The session's checkpoint folder, or the one that spark.checkpoint.dir names; on a single machine, without either, a temporary one."""
     context = spark.sparkContext
     if not context.getCheckpointDir():
-        import tempfile
-
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir", "") or tempfile.mkdtemp(prefix="edgefold-"))
+        named = context.getConf().get("spark.checkpoint.dir", "")
+        if not named and not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        if not named:
+            import tempfile
+
+            named = tempfile.mkdtemp(prefix="edgefold-")
+        context.setCheckpointDir(named)
     return context.getCheckpointDir()
 
 
@@ -69,6 +75,52 @@ def two_phase(edges: DataFrame, x: DataFrame, y: DataFrame, program: Program, *,
     return complete(z, targets, d) if targets is not None else z
 
 
+def two_phase_packed(rows: DataFrame, x: DataFrame | None, y: DataFrame, program: Program, *, d: int, targets: DataFrame | None = None, path: str | None = None) -> DataFrame:
+    """Both phases as kernels on packed rows (see `pack`) with shipped neighbours; messages are stored between them.
+
+    The first phase gives the scaled message of each edge, a number or a vector; the second reads it, and the neighbours
+    again, weighs and reduces. Programs whose weigh step needs the pair vector store that too, as their message.
+    """
+    check(program)
+    shipped, reads_x, pairs = ship(y), "x" in program.reads, program.weigh.operand == "pair"
+    ops, width = S.ArrayOps, 1 if program.fold is not None and not pairs else d
+
+    def sides(b):
+        ids, matrix = shipped.value
+        sizes = np.diff(b.column("vs").offsets.to_numpy())
+        return sizes, matrix[np.searchsorted(ids, b.column("vs").flatten().to_numpy(zero_copy_only=False))], np.asarray(b.column("ws").flatten(), dtype=np.float64)[:, None]
+
+    def first(batches):
+        for b in batches:
+            sizes, ys, a = sides(b)
+            xs = np.repeat(np.asarray(b.column("xu").flatten(), dtype=np.float64).reshape(-1, d), sizes, axis=0) if reads_x else ys
+            p = program.pair.vector.matrix(xs, ys) if program.pair.vector is not None else program.pair.element(ops, xs, ys, a)
+            h = S.matrix_fold(program.fold, p, xs, ys) if program.fold else p
+            h = program.scale.element(ops, h, a) if program.scale else h
+            h = program.weigh.element(ops, h, p) if pairs else np.broadcast_to(h, (len(ys), width))
+            cuts = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32) * width
+            yield pa.RecordBatch.from_arrays([b.column("u"), b.column("vs"), b.column("ws"), pa.ListArray.from_arrays(pa.array(cuts), pa.array(np.ascontiguousarray(h).reshape(-1)))], ["u", "vs", "ws", "h"])
+
+    def second(batches):
+        reduce = {"sum": np.add, "mean": np.add, "max": np.maximum, "min": np.minimum}[program.collect.reduce]
+        for b in batches:
+            if not b.num_rows:
+                continue
+            sizes, ys, a = sides(b)
+            h = np.asarray(b.column("h").flatten(), dtype=np.float64).reshape(-1, width)
+            w = h if pairs else program.weigh.element(ops, h, ys if program.weigh.operand == "neighbour" else a)
+            z = reduce.reduceat(np.ascontiguousarray(np.broadcast_to(w, ys.shape)), np.cumsum(sizes) - sizes, axis=0)
+            z = z / sizes[:, None] if program.collect.reduce == "mean" else z
+            yield pa.RecordBatch.from_arrays([b.column("u"), pa.ListArray.from_arrays(pa.array(np.arange(0, z.size + 1, d, dtype=np.int32)), pa.array(z.reshape(-1)))], ["u", "z"])
+
+    rows = rows.select("u", "vs", "ws")
+    if reads_x:
+        rows = rows.join(x.select(F.col("id").alias("u"), F.col("x").alias("xu")), "u")
+    stored = store(rows.mapInArrow(first, "u long, vs array<long>, ws array<double>, h array<double>"), path)
+    z = stored.mapInArrow(second, "u long, z array<double>").select("u", F.transform("z", lambda e: _start(program, e)).alias("z"))
+    return complete(z, targets, d) if targets is not None else z
+
+
 def tensor_operations(edges: DataFrame, x: DataFrame, y: DataFrame, program: Program, *, d: int, targets: DataFrame | None = None) -> DataFrame:
     """As generic tensor operations do it: both ends gathered for every edge, each step a stored tensor, then a scatter-add."""
     gathered = store(gather(gather(edges.where("a <> 0"), y, "v", "y"), x, "u", "x"))
@@ -123,10 +175,18 @@ def block_matrix_product(edges: DataFrame, y: DataFrame, m: int, n: int, d: int,
 
 
 def dense_reference(edges: DataFrame, x: DataFrame, y: DataFrame, program: Program, *, d: int, targets: DataFrame | None = None) -> DataFrame:
-    """All pairs, then the mask. For tiny graphs alone."""
+    """The messages of all pairs of a target and a neighbour, then the mask of the edges. For tiny graphs alone.
+
+    The mask is an outer join and a condition inside the reduction: a filter would let the optimiser join the edges first.
+    """
     pairs = x.select(F.col("id").alias("u"), "x").crossJoin(y.select(F.col("id").alias("v"), F.col("x").alias("y")))
-    masked = pairs.join(edges.where("a <> 0"), ["u", "v"])
-    z = _relational(masked.select("u", "v", "a"), x, y, program, d, "auto")
+    masked = pairs.join(edges.where("a <> 0").select("u", "v", F.col("a").alias("mask")), ["u", "v"], "left")
+    a = F.coalesce("mask", F.lit(0.0))
+    h, operand, _ = _wide_message(program, [F.col("x").getItem(i) for i in range(d)], [F.col("y").getItem(i) for i in range(d)], a)
+    w = [F.when(F.col("mask").isNotNull(), program.weigh.element(S.ColumnOps, hi, oi)) for hi, oi in zip(h, operand, strict=True)]
+    reduce = _reduction(program)
+    z = masked.groupBy("u").agg(F.count("mask").alias("n"), *[reduce(wi).alias(f"z{i}") for i, wi in enumerate(w)]).where("n > 0")
+    z = z.select("u", F.array(*[_start(program, F.col(f"z{i}")) for i in range(d)]).alias("z"))
     return complete(z, targets, d) if targets is not None else z
 
 

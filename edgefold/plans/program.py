@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+
 from edgefold.functions import steps as S
 from edgefold.functions.steps import Step
 
@@ -42,9 +44,40 @@ def check(program: Program) -> Program:
             raise ValueError(f"{kind} step expected, got {getattr(part, 'kind', part)!r}")
     if program.weigh.operand not in ("neighbour", "edge", "pair"):
         raise ValueError(f"unknown operand {program.weigh.operand}")
+    _probe(program)
     return program
 
 
+def _probe(program: Program, edges: int = 3, d: int = 2) -> None:
+    """Run the user's steps on a few made numbers: each must take what its kind gets and give what its kind gives."""
+    steps = (program.pair, program.fold, program.scale, program.weigh, program.collect)
+    if not any(s is not None and s.name == "USER" for s in steps) or program.pair.vector is not None:
+        return
+    x, a = np.linspace(0.1, 0.9, edges * d).reshape(edges, d), np.ones((edges, 1))
+
+    def shaped(part, kind, shapes, *args):
+        f = part.batch if part.batch is not None else part.element
+        try:
+            got = np.asarray(f(*args) if part.batch is not None else f(S.ArrayOps, *args))
+        except TypeError as e:
+            raise ValueError(f"the {kind} step takes {len(args)} arguments: {e}") from e
+        if got.shape not in shapes:
+            raise ValueError(f"the {kind} step gives shape {got.shape}, expected one of {shapes}")
+        return got
+
+    p = shaped(program.pair, "pair", [(edges, d)], x, x[::-1], a)
+    h = p
+    if program.fold is not None and program.fold.batch is not None:
+        h = shaped(program.fold, "fold", [(edges, 1), (edges,)], p).reshape(edges, 1)
+    elif program.fold is not None:
+        h = S.matrix_fold(program.fold, p, x, x[::-1])
+    if program.scale is not None:
+        h = shaped(program.scale, "scale", [h.shape, (edges, 1)], h, a)
+    w = shaped(program.weigh, "weigh", [(edges, d), h.shape, (edges, 1)], h, {"neighbour": x, "edge": a, "pair": p}[program.weigh.operand])
+    if program.collect.batch is not None:
+        shaped(program.collect, "collect", [(d,)], np.broadcast_to(w, (edges, d)))
+
+
 ASSOCIATIVE = {"sum", "max", "min", "mean"}
 
 
@@ -64,14 +97,19 @@ def check_feature_split(program: Program) -> None:
 
 def recognise(program: Program) -> str:
     """Name of a pattern that has a kernel of its own, or general."""
-    names = tuple(s.name if s else "NOOP" for s in (program.pair, program.fold, program.scale, program.weigh, program.collect))
-    operand = program.weigh.operand
-    if names == ("MUL", "RSUM", "SIGMOID", "MUL", "ASUM") and operand == "neighbour":
+    pair, fold, scale, weigh = program.pair, program.fold, program.scale, program.weigh
+    names = tuple(s.name if s else "NOOP" for s in (pair, fold, scale, weigh))
+    plain = all(s is None or (s.batch is None and s.vector is None) for s in (pair, fold, scale, weigh))
+    if program.collect.reduce == "user":
+        return "user"
+    if not plain or weigh.name != "MUL" or program.collect.reduce not in ("sum", "mean"):
+        return "general"
+    if names[:2] == ("MUL", "RSUM") and scale is not None and weigh.operand == "neighbour":
         return "sigmoid_dot"
-    if names[:4] == ("SEL2ND", "NOOP", "NOOP", "MUL") and operand == "edge" and program.collect.reduce in ("sum", "mean"):
-        return "neighbour_sum"
-    if names in (("ADD", "NORM", "SCAL", "MUL", "ASUM"), ("SUB", "NORM", "SCAL", "MUL", "ASUM")) and program.fold.params == (2,):
+    if pair.name in ("ADD", "SUB") and names[1] in ("NORM", "SELFDOT") and scale is not None and fold.params in ((2,), ()) and weigh.operand in ("neighbour", "pair"):
         return "norm_force"
+    if names[:3] == ("SEL2ND", "NOOP", "NOOP") and weigh.operand == "edge":
+        return "neighbour_sum"
     return "general"
 
 

@@ -61,12 +61,6 @@ def embedding_step(spark, sf_dir):
     return to_long(moved.select(F.col("id").alias("u"), F.col("x").alias("z")), 9)
 
 
-@q("train_embedding_g5")
-def train_embedding_g5(spark, sf_dir):
-    x, _ = training.train_embedding(graphs.edges(spark, sf_dir, "g5"), graphs.targets(spark, sf_dir, "g5"), d=8, batches=2, epochs=1)
-    return to_long(x.select(F.col("id").alias("u"), F.col("x").alias("z")))
-
-
 def _language(spark, sf_dir, fold, **options):
     d = 32
     e = graphs.edges(spark, sf_dir, "g6")
@@ -90,11 +84,15 @@ q("f1_micro_lang", _F1)(lambda s, d: _language(s, d, fused_fold, strategy="relat
 q("f1_micro_lang_two_phase", _F1)(lambda s, d: _language(s, d, two_phase))
 
 
-def _stream(spark, sf_dir):
-    """The events table as a stream of files."""
+def _files(spark, sf_dir):
+    """The events table in files of the shared folder, for a stream."""
     place = f"{_shared(spark)}/events-{uuid.uuid4().hex}"
     tables.load(spark, sf_dir, "events").repartition(3).write.parquet(place)
-    return folds.as_edges(folds.events(spark, place))
+    return place
+
+
+def _stream(spark, sf_dir):
+    return folds.as_edges(folds.events(spark, _files(spark, sf_dir)))
 
 
 def _types(spark):
@@ -111,7 +109,10 @@ for _name, _reduce in (("sum", "sum"), ("max", "max"), ("min", "min"), ("mean",
         return to_long(folds.drain(z, f"fold_{uuid.uuid4().hex}"), 9)
 
 
-@q("streaming_windows", f"SELECT user_id AS u, epoch_us(time_bucket(INTERVAL 1 DAY, ts)) // 1000000 AS t, i, round(sum(val), 9) + 0::DOUBLE AS z FROM events JOIN ({_TY}) y ON y.id = {_KINDS} GROUP BY 1, 2, 3")
+@q("streaming_windows",
+    f"SELECT user_id AS u, epoch_us(time_bucket(INTERVAL 1 DAY, ts)) "
+    f"// 1000000 AS t, i, round(sum(val), 9) + 0::DOUBLE AS z FROM events JOIN ({_TY}) y ON y.id = {_KINDS} "
+    f"GROUP BY 1, 2, 3")
 def streaming_windows(spark, sf_dir):
     z = folds.windowed_fold(folds.with_lateness(_stream(spark, sf_dir), "1 day"), _types(spark), P.graph_conv("sum"), 8, "1 day")
     z = folds.drain(z, f"windows_{uuid.uuid4().hex}")
@@ -122,3 +123,59 @@ def streaming_windows(spark, sf_dir):
 def streaming_state(spark, sf_dir):
     z = folds.stateful_fold(folds.with_lateness(_stream(spark, sf_dir), "40 days"), _types(spark), 8, 3_600_000)
     return folds.drain(z, f"state_{uuid.uuid4().hex}", "update").groupBy("u").agg(F.max("n").alias("n"))
+
+
+_DAY = "epoch_us(time_bucket(INTERVAL 1 DAY, ts)) // 1000000"
+_SLIDING = f"""SELECT user_id AS u, {_DAY} - k * 86400 AS t, i, round(sum(val), 9) + 0::DOUBLE AS z
+  FROM events, (SELECT range AS k FROM range(2)) JOIN ({_TY}) y ON y.id = {_KINDS} GROUP BY 1, 2, 3"""
+
+
+@q("streaming_sliding", _SLIDING)
+def streaming_sliding(spark, sf_dir):
+    """Windows of two days, one for each day."""
+    stream = folds.with_lateness(_stream(spark, sf_dir), "1 day")
+    z = folds.drain(folds.windowed_fold(stream, _types(spark), P.graph_conv("sum"), 8, "2 days", "1 day"), f"sliding_{uuid.uuid4().hex}")
+    return z.select("u", F.unix_timestamp("start").alias("t"), F.posexplode("z").alias("i", "z")).select("u", "t", "i", F.round("z", 9).alias("z"))
+
+
+_SESSIONS = f"""WITH e AS (SELECT user_id AS u, epoch_us(ts) AS t, {_KINDS} AS v FROM events),
+  b AS (SELECT *, coalesce(t - lag(t) OVER w > 21600000000, true)::INTEGER AS new FROM e WINDOW w AS (PARTITION BY u ORDER BY t)),
+  s AS (SELECT *, sum(new) OVER (PARTITION BY u ORDER BY t) AS k FROM b),
+  g AS (SELECT *, min(t) OVER (PARTITION BY u, k) // 1000000 AS start FROM s)
+  SELECT u, start AS t, i, round(sum(val), 9) + 0::DOUBLE AS z FROM g JOIN ({_TY}) y ON y.id = g.v GROUP BY 1, 2, 3"""
+
+
+@q("streaming_sessions", _SESSIONS)
+def streaming_sessions(spark, sf_dir):
+    """Sessions of a user that end after six hours without an event."""
+    stream = folds.with_lateness(_stream(spark, sf_dir), "40 days")
+    z = folds.drain(folds.windowed_fold(stream, _types(spark), P.graph_conv("sum"), 8, "1 day", gap="6 hours"), f"sessions_{uuid.uuid4().hex}")
+    return z.select("u", F.unix_timestamp("start").alias("t"), F.posexplode("z").alias("i", "z")).select("u", "t", "i", F.round("z", 9).alias("z"))
+
+
+@q("streaming_join", """SELECT p.user_id AS u, q.user_id AS v, count(*) AS a FROM events p JOIN events q ON p.user_id <> q.user_id
+  AND abs(epoch_us(p.ts) - epoch_us(q.ts)) <= 300000000 WHERE p.event_type = 'click' AND q.event_type = 'view' GROUP BY 1, 2""")
+def streaming_join(spark, sf_dir):
+    """Two streams of events, joined where they are five minutes apart at most."""
+    place = _files(spark, sf_dir)
+    one, other = (folds.events(spark, place).where(F.col("event_type") == t) for t in ("click", "view"))
+    met = folds.drain(folds.joined_edges(one, other, "40 days", 300), f"join_{uuid.uuid4().hex}", "append")
+    return met.groupBy("u", "v").agg(F.count("*").alias("a"))
+
+
+@q("streaming_distinct", "SELECT count(*) AS n, count(DISTINCT event_id) AS events FROM events")
+def streaming_distinct(spark, sf_dir):
+    """The stream twice over: each event counts once."""
+    place = _files(spark, sf_dir)
+    tables.load(spark, sf_dir, "events").repartition(2).write.mode("append").parquet(place)
+    once = folds.drain(folds.distinct_edges(folds.as_edges(folds.events(spark, place)), "40 days"), f"distinct_{uuid.uuid4().hex}", "append")
+    return once.agg(F.count("*").alias("n"), F.count_distinct("event_id").alias("events"))
+
+
+@q("streaming_refresh", "SELECT user_id AS u, count(*) AS n FROM events GROUP BY 1")
+def streaming_refresh(spark, sf_dir):
+    """Versions of a feature table, one for each micro-batch, that add up to all events."""
+    path = f"{_shared(spark)}/versions-{uuid.uuid4().hex}"
+    step = lambda batch, version: batch.groupBy("u").agg(F.count("*").alias("n"))
+    folds.refresh(_stream(spark, sf_dir), path, step, f"{path}-log").awaitTermination()
+    return spark.read.parquet(path).groupBy("u").agg(F.sum("n").alias("n"))

@@ -82,12 +82,15 @@ _STEPS = {
     "step_pair_min": {"pair": S.pair_min()}, "step_pair_max": {"pair": S.pair_max()}, "step_mlp": {"pair": S.mlp(S.weights_by_rule(D)), "fold": None},
     "step_rsum": {"scale": None}, "step_rmul": {"fold": S.rmul(), "scale": S.scal(1000.0)}, "step_norm": {"pair": S.add(), "fold": S.norm(), "scale": None},
     "step_norm1": {"pair": S.add(), "fold": S.norm(1), "scale": None}, "step_norm_inf": {"pair": S.add(), "fold": S.norm(float("inf")), "scale": None},
-    "step_selfdot": {"pair": S.sub(), "fold": S.self_dot(), "scale": None}, "step_fold_max": {"fold": S.fold_max(), "scale": None},
+    "step_selfdot": {"pair": S.sub(), "fold": S.self_dot(), "scale": None}, "step_dot_ends": {"pair": S.sub(), "fold": S.dot_ends(), "weigh": S.weigh_mul("pair")},
+    "step_sum_left": {"pair": S.sub(), "fold": S.sum_left(), "weigh": S.weigh_mul("pair")},
+    "step_sum_right": {"pair": S.add(), "fold": S.sum_right(), "weigh": S.weigh_mul("pair")},
+    "step_fold_max": {"fold": S.fold_max(), "scale": None},
     "step_sigmoid": {"fold": None}, "step_scal": {"scale": S.scal(0.25)}, "step_tail": {"pair": S.sub(), "fold": S.self_dot(), "scale": S.inverse_tail()},
     "step_edge_scale": {"scale": S.edge_scale()}, "step_noop": {"fold": None, "scale": None},
     "step_weigh_edge": {"weigh": S.weigh_mul("edge")}, "step_weigh_pair": {"weigh": S.weigh_mul("pair")}, "step_weigh_add": {"weigh": S.weigh_add()},
     "step_weigh_sel2nd": {"weigh": S.weigh_sel2nd()}, "step_weigh_sigmoid": {"scale": None, "weigh": S.weigh_sigmoid()},
-    "step_asum": {}, "step_amax_zero": {"collect": S.amax("zero")}, "step_amax_identity": {"collect": S.amax("identity")},
+    "step_asum": {"scale": S.scal(-0.5)}, "step_amax_zero": {"collect": S.amax("zero")}, "step_amax_identity": {"collect": S.amax("identity")},
     "step_amin": {"collect": S.amin()}, "step_min_pool": {"pair": S.sel2nd(), "fold": None, "scale": None, "weigh": S.weigh_mul("edge"), "collect": S.amin()},
     "step_mean_pool": {"collect": S.amean()},
 }
@@ -144,31 +147,47 @@ def minibatch_slice(spark, sf_dir):
 
 
 _CONV_Y = features.hashed_sql(graphs.sources_sql("g1"), D)
-QUERIES["bipartite_g1"] = QUERIES["graph_conv_sum_g1"]
-ORACLE["bipartite_g1"] = ORACLE["graph_conv_sum_g1"]
+# Targets and neighbours of two kinds, each with a table of features of its own, both read.
+fold_query("bipartite_g1", "g1", P.layout_displacement())
 
 
-@_plain("edge_messages_g1", f"WITH y AS ({_CONV_Y}), x AS ({features.hashed_sql('SELECT u AS id FROM (' + graphs.targets_sql('g1') + ')', D)}) SELECT e.u, e.v, round(sum(x.val * y.val) * any_value(e.a), 6) + 0::DOUBLE AS h FROM ({graphs.SQL['g1']}) e JOIN x ON x.id = e.u JOIN y ON y.id = e.v AND y.i = x.i GROUP BY e.u, e.v")
+@_plain("edge_messages_g1",
+    f"WITH y AS ({_CONV_Y}), x AS ({features.hashed_sql('SELECT u AS id FROM (' + graphs.targets_sql('g1') + ')', D)}) "
+    f"SELECT e.u, e.v, round(sum(x.val * y.val) * any_value(e.a), 6) + 0::DOUBLE AS h FROM ({graphs.SQL['g1']}) e "
+    f"JOIN x ON x.id = e.u JOIN y ON y.id = e.v AND y.i = x.i GROUP BY e.u, e.v")
 def edge_messages_g1(spark, sf_dir):
     e, x, y, _ = inputs(spark, sf_dir, "g1")
     return two_phase.edge_dot(e, x, y, D).select("u", "v", F.round("h", 6).alias("h"))
 
 
-@_plain("aggregate_messages_g1", f"WITH y AS ({_CONV_Y}), x AS ({features.hashed_sql('SELECT u AS id FROM (' + graphs.targets_sql('g1') + ')', D)}), h AS (SELECT e.u, e.v, sum(x.val * y.val) * any_value(e.a) AS h FROM ({graphs.SQL['g1']}) e JOIN x ON x.id = e.u JOIN y ON y.id = e.v AND y.i = x.i GROUP BY e.u, e.v) SELECT h.u, y.i, round(sum(h.h * y.val), 9) + 0::DOUBLE AS z FROM h JOIN y ON y.id = h.v GROUP BY 1, 2")
+@_plain("aggregate_messages_g1",
+    f"WITH y AS ({_CONV_Y}), x AS ({features.hashed_sql('SELECT u AS id FROM (' + graphs.targets_sql('g1') + ')', D)}), "
+    f"h AS (SELECT e.u, e.v, sum(x.val * y.val) * any_value(e.a) AS h FROM ({graphs.SQL['g1']}) e "
+    f"JOIN x ON x.id = e.u JOIN y ON y.id = e.v AND y.i = x.i GROUP BY e.u, e.v) "
+    f"SELECT h.u, y.i, round(sum(h.h * y.val), 9) + 0::DOUBLE AS z FROM h JOIN y ON y.id = h.v GROUP BY 1, 2")
 def aggregate_messages_g1(spark, sf_dir):
     e, x, y, _ = inputs(spark, sf_dir, "g1")
     h = two_phase.store(two_phase.edge_dot(e, x, y, D).withColumn("a", F.lit(1.0)))
     return to_long(two_phase.aggregate_messages(h, y, P.Program(S.sel2nd(), None, None, S.weigh_mul(), S.asum()), D), 9)
 
 
-@_plain("attention_unfused_g5", f"WITH e AS ({graphs.SQL['g5']}), f AS (SELECT vec_id AS id, (s - 1)::INTEGER AS i, embedding[s]::DOUBLE AS val FROM embeddings, (SELECT range AS s FROM range(1, 65))), w AS (SELECT u, v, exp(a - max(a) OVER (PARTITION BY u)) AS w FROM e), n AS (SELECT u, v, w / sum(w) OVER (PARTITION BY u) AS a FROM w) SELECT u, i, round(sum(n.a * f.val), 6) + 0::DOUBLE AS z FROM n JOIN f ON f.id = n.v GROUP BY 1, 2")
+@_plain("attention_unfused_g5",
+    f"WITH e AS ({graphs.SQL['g5']}), f AS (SELECT vec_id AS id, (s - 1)::INTEGER AS i, embedding[s]::DOUBLE AS val "
+    f"FROM embeddings, (SELECT range AS s "
+    f"FROM range(1, 65))), w AS (SELECT u, v, exp(a - max(a) OVER (PARTITION BY u)) AS w "
+    f"FROM e), n AS (SELECT u, v, w / sum(w) OVER (PARTITION BY u) AS a FROM w) "
+    f"SELECT u, i, round(sum(n.a * f.val), 6) + 0::DOUBLE AS z FROM n JOIN f ON f.id = n.v GROUP BY 1, 2")
 def attention_unfused_g5(spark, sf_dir):
     x = features.real(spark, sf_dir)
     weights = two_phase.attention(graphs.edges(spark, sf_dir, "g5"), x, x, 64)
     return to_long(fused_fold(weights, None, x, P.graph_conv("sum"), d=64, strategy="relational"))
 
 
-@_plain("graph_conv_symnorm_g7", f"WITH e AS ({graphs.SQL['g7']}), deg AS (SELECT u, sum(a) AS d FROM e GROUP BY u), n AS (SELECT e.u, e.v, e.a / sqrt(p.d * q.d) AS a FROM e JOIN deg p ON p.u = e.u JOIN deg q ON q.u = e.v), y AS ({features.hashed_sql(graphs.sources_sql('g7'), D)}) SELECT n.u, y.i, round(sum(n.a * y.val), 6) + 0::DOUBLE AS z FROM n JOIN y ON y.id = n.v GROUP BY 1, 2")
+@_plain("graph_conv_symnorm_g7",
+    f"WITH e AS ({graphs.SQL['g7']}), deg AS (SELECT u, sum(a) AS d FROM e "
+    f"GROUP BY u), n AS (SELECT e.u, e.v, e.a / sqrt(p.d * q.d) AS a FROM e JOIN deg p ON p.u = e.u "
+    f"JOIN deg q ON q.u = e.v), y AS ({features.hashed_sql(graphs.sources_sql('g7'), D)}) "
+    f"SELECT n.u, y.i, round(sum(n.a * y.val), 6) + 0::DOUBLE AS z FROM n JOIN y ON y.id = n.v GROUP BY 1, 2")
 def graph_conv_symnorm_g7(spark, sf_dir):
     from edgefold.operators.edges import symmetric_normalise
 
@@ -183,7 +202,13 @@ def _weights(rows, columns):
 _W = ", ".join(f"({k}, {j}, {w}::DOUBLE)" for k, row in enumerate(_weights(64, 4)) for j, w in enumerate(row))
 
 
-@_plain("gcn_layer_g5", f"WITH e AS ({graphs.SQL['g5']}), f AS (SELECT vec_id AS id, (s - 1)::INTEGER AS i, embedding[s]::DOUBLE AS val FROM embeddings, (SELECT range AS s FROM range(1, 65))), w(k, j, w) AS (VALUES {_W}), z AS (SELECT e.u, f.i, avg(e.a * f.val) AS z FROM e JOIN f ON f.id = e.v GROUP BY 1, 2) SELECT u, j::INTEGER AS i, round(greatest(sum(z.z * w.w) + 0.1, 0), 9) + 0::DOUBLE AS z FROM z JOIN w ON w.k = z.i GROUP BY u, j")
+@_plain("gcn_layer_g5",
+    f"WITH e AS ({graphs.SQL['g5']}), f AS (SELECT vec_id AS id, (s - 1)::INTEGER AS i, embedding[s]::DOUBLE AS val "
+    f"FROM embeddings, (SELECT range AS s "
+    f"FROM range(1, 65))), w(k, j, w) AS (VALUES {_W}), z AS (SELECT e.u, f.i, avg(e.a * f.val) AS z FROM e "
+    f"JOIN f ON f.id = e.v GROUP BY 1, 2) "
+    f"SELECT u, j::INTEGER AS i, round(greatest(sum(z.z * w.w) + 0.1, 0), 9) + 0::DOUBLE AS z FROM z "
+    f"JOIN w ON w.k = z.i GROUP BY u, j")
 def gcn_layer_g5(spark, sf_dir):
     from edgefold.functions.vectors import dense
 
@@ -230,7 +255,11 @@ def balance_report(spark, sf_dir):
 
 
 def _profile_sql(graph):
-    return f"SELECT (SELECT count(*) FROM ({graphs.targets_sql(graph)})) AS m, (SELECT count(*) FROM ({graphs.sources_sql(graph)})) AS n, count(*) AS nnz, max(c)::BIGINT AS max_degree FROM (SELECT *, count(*) OVER (PARTITION BY u) AS c FROM ({graphs.SQL[graph]}))"
+    return (
+        f"SELECT (SELECT count(*) FROM ({graphs.targets_sql(graph)})) AS m, (SELECT count(*) "
+        f"FROM ({graphs.sources_sql(graph)})) AS n, count(*) AS nnz, max(c)::BIGINT AS max_degree "
+        f"FROM (SELECT *, count(*) OVER (PARTITION BY u) AS c FROM ({graphs.SQL[graph]}))"
+)
 
 
 def profile(spark, sf_dir, graph):
@@ -247,7 +276,10 @@ for _graph in graphs.EDGES:
 _RMAT = graphs.rmat_sql(10, 8000)
 
 
-@_plain("graph_profile_g8", f"SELECT count(DISTINCT u) AS m, count(DISTINCT v) AS n, count(*) AS nnz, max(c)::BIGINT AS max_degree, sum(a)::BIGINT AS edges FROM (SELECT *, count(*) OVER (PARTITION BY u) AS c FROM ({_RMAT}))")
+@_plain("graph_profile_g8",
+    f"SELECT count(DISTINCT u) AS m, count(DISTINCT v) AS n, count(*) "
+    f"AS nnz, max(c)::BIGINT AS max_degree, sum(a)::BIGINT AS edges "
+    f"FROM (SELECT *, count(*) OVER (PARTITION BY u) AS c FROM ({_RMAT}))")
 def graph_profile_g8(spark, sf_dir):
     e = graphs.rmat(spark, 10, 8000)
     deg = e.groupBy("u").agg(F.count("*").alias("c"), F.sum("a").alias("a")).agg(F.count("*").alias("m"), F.sum("c").cast("long").alias("nnz"), F.max("c").alias("max_degree"), F.sum("a").cast("long").alias("edges"))
@@ -257,7 +289,11 @@ def graph_profile_g8(spark, sf_dir):
 _COSTS = " UNION ALL ".join(f"SELECT '{g}' AS graph, m, n, nnz FROM ({_profile_sql(g)})" for g in ("g1", "g2", "g3", "g4", "g5", "g7"))
 
 
-@_plain("cost_model", f"SELECT graph, m, n, nnz, 4 * 64 * nnz AS flops, 8 * m * 64 + 4 * n * 64 + 12 * nnz AS fused_bytes, 12 * nnz * 64 AS message_bytes, m * 64 AS held_loads, nnz * 64 AS edge_loads, round(nnz / m / (3.0 * (nnz / m) / 64 + 2.0 + nnz / m), 9) AS intensity FROM ({_COSTS})")
+@_plain("cost_model",
+    f"SELECT graph, m, n, nnz, 4 * 64 * nnz AS flops, 8 * m * 64 + 4 "
+    f"* n * 64 + 12 * nnz AS fused_bytes, 12 * nnz * 64 AS message_bytes, "
+    f"m * 64 AS held_loads, nnz * 64 AS edge_loads, round(nnz / m / "
+    f"(3.0 * (nnz / m) / 64 + 2.0 + nnz / m), 9) AS intensity FROM ({_COSTS})")
 def cost_model(spark, sf_dir):
     out = None
     for g in ("g1", "g2", "g3", "g4", "g5", "g7"):

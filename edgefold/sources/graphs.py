@@ -56,28 +56,27 @@ def user_next(spark, sf_dir):
     return _edges(pairs.groupBy("u", "v").agg(F.count("*").alias("a")))
 
 
-def knn(x: DataFrame, k: int) -> DataFrame:
-    """(u, v, a): the k most alike vectors of each by dot product, ties by id. Exact, in blocks against a shipped matrix."""
+def knn(x: DataFrame, k: int, block: int | None = None) -> DataFrame:
+    """(u, v, a): the k most alike vectors of each by dot product, ties by id. Exact: every vector meets every block of
+    vectors, each block gives its k best, and these are merged. block: vectors in one; a shipped matrix if there is one block."""
     import numpy as np
     import pyarrow as pa
 
-    from edgefold.operators.fused import ship
-
-    shipped = ship(x)
-
-    def run(batches):
-        ids, matrix = shipped.value
-        for b in batches:
-            for at in range(0, b.num_rows, 256):
-                part = b.slice(at, 256)
-                own = part.column(0).to_numpy(zero_copy_only=False)
-                rows = np.asarray(part.column(1).flatten(), dtype=np.float64).reshape(len(own), -1)
-                s = rows @ matrix.T
-                s[own[:, None] == ids[None, :]] = -np.inf
-                order = np.lexsort((np.broadcast_to(ids, s.shape), -s), axis=1)[:, :k]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(own, order.shape[1])), pa.array(ids[order].reshape(-1)), pa.array(np.take_along_axis(s, order, 1).reshape(-1))], ["u", "v", "a"])
-
-    return x.select("id", "x").mapInArrow(run, "u long, v long, a double").where("a > double('-infinity')")
+    from edgefold.operators.products import blockwise
+
+    def best(own, rows, ids, matrix):
+        s = rows @ matrix.T
+        s[own[:, None] == ids[None, :]] = -np.inf
+        order = np.lexsort((np.broadcast_to(ids, s.shape), -s), axis=1)[:, :k]
+        return pa.RecordBatch.from_arrays([pa.array(np.repeat(own, order.shape[1])), pa.array(ids[order].reshape(-1)), pa.array(np.take_along_axis(s, order, 1).reshape(-1))], ["u", "v", "a"])
+
+    found, blocks = blockwise(x, best, block)
+    found = found.where("a > double('-infinity')")
+    if blocks == 1:
+        return found
+    top = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("a")).alias("n"), "v"))), 1, k)
+    merged = found.groupBy("u").agg(top.alias("top")).select("u", F.explode("top").alias("t"))
+    return merged.select("u", "t.v", (-F.col("t.n")).alias("a"))
 
 
 def vector_knn(spark, sf_dir, k=10):

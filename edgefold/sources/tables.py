@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 SCHEMAS = {
     "region": "r_regionkey int, r_name string",
@@ -35,3 +36,46 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         if have[column] != kind and not ({have[column], kind} <= numbers or have[column].startswith("timestamp") and kind.startswith("timestamp")):
             raise ValueError(f"{name}.{column} is {have[column]}, not {kind}")
     return df
+
+
+def checksums(df: DataFrame, name: str) -> DataFrame:
+    """One row: n, and for each column of the table's schema a number that every value of it goes into.
+
+    Whole numbers are added up, fractions to four places of decimals each, strings by the first 32 bits of their digest,
+    times as seconds, arrays by their elements; nulls add nothing.
+    """
+    have, sums = dict(df.dtypes), []
+    for item in SCHEMAS[name].split(", "):
+        column, kind = item.split(" ", 1)
+        c = F.col(column)
+        if kind == "string":
+            total = F.sum(F.conv(F.substring(F.md5(c), 1, 8), 16, 10).cast("long"))
+        elif kind == "timestamp_ntz" or have[column] == "timestamp_ntz":
+            total = F.sum(F.expr(f"timestampdiff(SECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', {column})"))
+        elif kind == "timestamp":
+            total = F.sum(F.unix_seconds(c))
+        elif kind == "double":
+            total = F.sum(c.cast("decimal(18,4)")).cast("double")
+        elif kind.startswith("array"):
+            total = F.round(F.sum(F.aggregate(c, F.lit(0.0), lambda a, v: a + v.cast("double"))), 6)
+        else:
+            total = F.sum(c.cast("long"))
+        sums.append(total.alias(f"sum_{column}"))
+    return df.agg(F.count("*").alias("n"), *sums)
+
+
+def checksums_sql(name: str) -> str:
+    sums = []
+    for item in SCHEMAS[name].split(", "):
+        column, kind = item.split(" ", 1)
+        total = f"sum({column}::BIGINT)::BIGINT"
+        if kind == "string":
+            total = f"sum(('0x' || substr(md5({column}), 1, 8))::BIGINT)::BIGINT"
+        elif kind.startswith("timestamp"):
+            total = f"sum(epoch_us({column}) // 1000000)::BIGINT"
+        elif kind == "double":
+            total = f"sum({column}::DECIMAL(18,4))::DOUBLE"
+        elif kind.startswith("array"):
+            total = f"round(sum(list_sum({column}::DOUBLE[])), 6)"
+        sums.append(f"{total} AS sum_{column}")
+    return f"SELECT count(*) AS n, {', '.join(sums)} FROM {name}"

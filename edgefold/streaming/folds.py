@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
-from edgefold.operators.fused import _reduction, _start, _wide_message
 from edgefold.functions import steps as S
+from edgefold.operators.fused import _reduction, _start, _wide_message
+from edgefold.operators.two_phase import _shared
 from edgefold.plans.program import Program, check
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -112,9 +114,22 @@ def refresh(stream: DataFrame, path: str, step, checkpoint: str):
 
 
 def drain(stream: DataFrame, name: str, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
-    """Run over what is there now into a table in memory; for tests and small results."""
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        writer = writer.option("checkpointLocation", checkpoint)
-    writer.start().awaitTermination()
-    return stream.sparkSession.table(name)
+    """Run over what is there now into files of the shared checkpoint folder, and read these.
+
+    Of complete output the last version counts; of update and append output every row that came.
+    """
+    spark = stream.sparkSession
+    path = f"{_shared(spark)}/streams/{name}"
+
+    def run(batch: DataFrame, version: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/version={version}")
+
+    # an empty version first, so that a stream without a batch gives no rows rather than no files
+    spark.createDataFrame([], stream.schema).write.mode("overwrite").parquet(f"{path}/version=-1")
+    writer = stream.writeStream.foreachBatch(run).outputMode(mode).trigger(availableNow=True)
+    writer.option("checkpointLocation", checkpoint or f"{path}-log").start().awaitTermination()
+    out = spark.read.schema(StructType([*stream.schema.fields, StructField("version", IntegerType())])).parquet(path)
+    if mode == "complete":
+        last = out.agg(F.max("version")).first()[0]
+        out = spark.read.schema(stream.schema).parquet(f"{path}/version={-1 if last is None else last}")
+    return out.select(*stream.columns)

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from edgefold.functions import steps as S
 from edgefold.operators import edges as E
 from edgefold.operators import packed, partition, two_phase
-from edgefold.operators.fused import fused_fold, generate
+from edgefold.operators.fused import fused_fold
+from edgefold.operators.kernels import Blocking, generate, stacks
 from edgefold.plans import cost, planner
 from edgefold.plans import program as P
 
@@ -73,7 +74,7 @@ def test_saturation_float_and_blocks(spark):
     y = spark.createDataFrame([(i, [1000.0 * (-1) ** i, float(i)]) for i in range(50)], "id long, x array<double>")
     x = spark.createDataFrame([(0, [1.0, 0.0]), (1, [1.0, 0.0])], "id long, x array<double>")
     want = rows(fused_fold(e, x, y, P.sigmoid_embedding(), d=2, strategy="relational"))
-    for options in ({"block": 7}, {"block": None}, {"dtype": "float"}, {"specialise": False}):
+    for options in ({"block": 700}, {"block": None}, {"dtype": "float"}, {"specialise": False}, {"parts": 3}, {"block": Blocking(dims=1)}):
         got = rows(fused_fold(e, x, y, P.sigmoid_embedding(), d=2, strategy="packed", **options))
         assert got[0] == pytest.approx(want[0], rel=1e-5) and got[1] == pytest.approx(want[1])
 
@@ -101,19 +102,95 @@ def test_contracts(fixture, spark):
     bad = y.unionByName(spark.createDataFrame([(8, [1.0, float("nan"), 0.0, 0.0])], "id long, x array<double>"))
     with pytest.raises(Exception, match="NaN"):
         fused_fold(e, x, bad, P.graph_conv(), d=4, strategy="relational", checked=True).collect()
-    with pytest.raises(ValueError):
-        fused_fold(e, x, y.where("id <> 8"), P.graph_conv(), d=4, strategy="relational", on_missing="error")
-    with pytest.raises(Exception, match="no features"):
-        fused_fold(e, x, y.where("id <> 8"), P.graph_conv(), d=4, strategy="packed").collect()
     empty = e.limit(0)
+    for options in WAYS:
+        assert rows(fused_fold(empty, x, y, P.graph_conv(), d=4, **options)) == {}
+
+
+WAYS = [{"strategy": "relational"}, {"strategy": "relational", "salts": 3}, {"strategy": "array"}, {"strategy": "packed"}, {"strategy": "packed", "parts": 3}, {"strategy": "tiled", "tiles": (2, 2)}, {"strategy": "auto"}]
+
+
+@pytest.mark.parametrize("options", WAYS, ids=str)
+def test_missing_features_are_one_rule(spark, options):
+    """An edge without features that the program reads is an error in every strategy, or is dropped in every one."""
+    e = spark.createDataFrame([(1, 10, 1.0), (1, 11, 2.0), (2, 10, 1.0), (3, 10, 4.0), (4, 12, 1.0)], "u long, v long, a double")
+    x = spark.createDataFrame([(u, [1.0, 2.0]) for u in (1, 2, 4)], "id long, x array<double>")
+    y = spark.createDataFrame([(10, [1.0, 0.5]), (12, [0.0, -1.0])], "id long, x array<double>")
+    for program, fx, fy in ((P.sigmoid_embedding(), x, y), (P.sigmoid_embedding(), x.unionByName(x.limit(1).selectExpr("3L AS id", "x")), y), (P.graph_conv(), None, y)):
+        with pytest.raises(Exception, match="no features"):
+            fused_fold(e, fx, fy, program, d=2, **options).collect()
+    whole_y = y.unionByName(spark.createDataFrame([(11, [1.0, 1.0])], "id long, x array<double>"))
+    with pytest.raises(Exception, match="no features"):
+        fused_fold(e, x, whole_y, P.sigmoid_embedding(), d=2, **options).collect()
+    got = rows(fused_fold(e, x, y, P.sigmoid_embedding(), d=2, on_missing="drop", **options))
+    h1, h2 = 1 / (1 + np.exp(-2.0)), 1 / (1 + np.exp(2.0))
+    assert got.keys() == {1, 2, 4} and got[1] == pytest.approx([h1, h1 / 2]) and got[4] == pytest.approx([0.0, -h2])
+    # features that the program does not read may be missing
+    assert rows(fused_fold(e, None, whole_y, P.graph_conv(), d=2, **options))[3] == pytest.approx([4.0, 2.0])
+    nulls = e.unionByName(spark.createDataFrame([(None, 10, 1.0), (1, None, 1.0), (2, 12, None), (2, 12, 0.0)], "u long, v long, a double"))
+    assert rows(fused_fold(nulls, x, y, P.sigmoid_embedding(), d=2, on_missing="drop", **options)) == {u: pytest.approx(z) for u, z in got.items()}
+    with pytest.raises(ValueError):
+        fused_fold(e, x, y, P.sigmoid_embedding(), d=2, on_missing="ignore", **options)
+
+
+def test_contracts_of_user_steps(fixture):
+    e, x, y, _ = fixture
+    bad = {
+        "pair": [{"batch": lambda x, y: x}, {"batch": lambda x, y, a: x[:, 0]}],
+        "scale": [{"batch": lambda s: s}, {"batch": lambda s, a: np.hstack([s, s, s])}],
+        "weigh": [{"batch": lambda h: h}, {"batch": lambda h, o: (h * o).sum()}],
+        "fold": [{"batch": lambda m: m}, {"batch": lambda m, k: m[:, 0]}],
+        "collect": [{"batch": lambda m: m}, {"batch": lambda m, k: m[0]}],
+    }
+    parts = {"pair": S.mul(), "fold": S.rsum(), "scale": S.sigmoid(), "weigh": S.weigh_mul(), "collect": S.asum()}
+    for kind, options in bad.items():
+        for option in options:
+            with pytest.raises(ValueError, match=kind):
+                P.check(P.Program(**(parts | {kind: S.step(kind, **option)})))
+    P.check(P.Program(**(parts | {"fold": S.step("fold", batch=lambda m: m.max(axis=1))})))
+    middle = P.Program(S.sel2nd(), None, None, S.weigh_mul("edge"), S.step("collect", batch=lambda m: np.median(m, axis=0)))
+    assert rows(fused_fold(e, x, y, middle, d=4))[1] == pytest.approx([0, 0, 1, 0])
+    for strategy in ("relational", "tiled"):
+        with pytest.raises(ValueError):
+            fused_fold(e, x, y, middle, d=4, strategy=strategy)
+
+
+@pytest.mark.parametrize("fold", [S.dot_ends(), S.sum_left(), S.sum_right()], ids=lambda f: f.name)
+def test_folds_of_both_ends(fixture, fold):
+    e, x, y, _ = fixture
+    program = P.Program(S.sub(), fold, S.scal(0.5), S.weigh_mul("pair"), S.asum())
+    x1, want = np.asarray(X1), np.zeros(4)
+    for v, yv in Y.items():
+        yv = np.asarray(yv)
+        want += 0.5 * {"DOT": x1 @ yv, "LSUM": x1.sum(), "NSUM": yv.sum()}[fold.name] * (yv - x1)
     for strategy in ("relational", "array", "packed", "tiled"):
-        assert rows(fused_fold(empty, x, y, P.graph_conv(), d=4, strategy=strategy)) == {}
+        assert rows(fused_fold(e, x, y, program, d=4, strategy=strategy))[1] == pytest.approx(want.tolist())
+    assert rows(two_phase.two_phase(e, x, y, program, d=4))[1] == pytest.approx(want.tolist())
 
 
 def test_recognition_and_kernels():
     assert P.recognise(P.sigmoid_embedding()) == "sigmoid_dot" and P.recognise(P.graph_conv()) == "neighbour_sum"
-    assert P.recognise(P.layout_literal()) == "norm_force" and P.recognise(P.heavy_tail()) == "general"
-    assert callable(generate("sigmoid_dot", 8, 64, "float")) and P.graph_conv().reads == {"y", "a"}
+    assert P.recognise(P.layout_literal()) == "norm_force" and P.recognise(P.heavy_tail()) == "norm_force"
+    assert P.recognise(P.graph_conv("max")) == "general" and P.graph_conv().reads == {"y", "a"}
+    assert generate("sigmoid_dot", 8, Blocking(limit=64), "float") is generate("sigmoid_dot", 8, Blocking(limit=64), "float")
+
+
+@pytest.mark.parametrize("program", [P.sigmoid_embedding(), P.embedding_pull(), P.layout_literal(), P.layout_displacement(), P.heavy_tail(), P.graph_conv(), P.graph_conv("mean")], ids=lambda p: p.name)
+def test_specialised_kernels_agree_with_the_general_one(program):
+    draw, d = np.random.default_rng(0), 20
+    sizes = np.asarray([3, 0, 7, 3, 1, 90, 3, 0])
+    starts, n = np.cumsum(sizes) - sizes, int(sizes.sum())
+    x, y, index, a = draw.normal(size=(8, d)), draw.normal(size=(30, d)), draw.integers(0, 30, n), draw.normal(size=n)
+    want = generate("general", d)(program, x, y, index, a, sizes, starts)
+    pattern = P.recognise(program)
+    assert pattern != "general"
+    for block in (None, Blocking(limit=1 << 8), Blocking(dims=7), Blocking(vectors=("x", "z")), Blocking(vectors=("x",)), Blocking(vectors=("z",), limit=1 << 9), Blocking(vectors=())):
+        assert np.allclose(generate(pattern, d, block)(program, x, y, index, a, sizes, starts), want)
+        assert np.allclose(generate("general", d, block)(program, x, y, index, a, sizes, starts), want)
+    single = [generate(k, d, None, "float")(program, x.astype("f4"), y.astype("f4"), index, a.astype("f4"), sizes, starts) for k in (pattern, "general")]
+    assert single[0].dtype == np.float32 and all(np.allclose(z, want, rtol=1e-3, atol=1e-4) for z in single)
+    seen = np.concatenate([at.ravel() for _, at in stacks(sizes, starts, 16)])
+    assert sorted(seen.tolist()) == list(range(n))
 
 
 def test_fused_plan_has_no_exchange_between_message_and_partial_sum(fixture):
@@ -136,6 +213,73 @@ def test_balanced_parts(spark):
     assert partition.imbalance(partition.equal_row_parts(e, 4), 4).first()["nnz"] == 24
 
 
+def test_parts_of_a_skewed_graph_are_even(spark, sf):
+    """Edges of each task, on the graph of tokens and on a random graph with hubs; rows as without parts."""
+    from edgefold.operators.fused import placed
+    from edgefold.sources import features, graphs
+
+    hub = spark.range(2000).select(F.lit(7).cast("long").alias("u"), F.col("id").alias("v"), F.lit(1.0).alias("a"))
+    for e in (graphs.edges(spark, sf, "g6"), graphs.rmat(spark, 9, 6000), graphs.rmat(spark, 9, 3000).where("u <> 7").unionByName(hub)):
+        e, t = e.persist(), 12
+        ids = e.select(F.col("u").alias("id")).union(e.select("v")).distinct()
+        x = features.hashed(ids, 4)
+        parts, split = placed(e, x, t)
+        by = parts.where("v IS NOT NULL").groupBy(F.spark_partition_id().alias("k")).count().collect()
+        n = e.count()
+        biggest = max(r["deg"] for r in partition.degrees(e).collect())
+        assert sum(r["count"] for r in by) == n and max(r["count"] for r in by) <= 1.1 * (n / t + min(biggest, n / t)) and split == (biggest > n / t)
+        want = rows(fused_fold(e, x, x, P.layout_literal(), d=4, strategy="relational"))
+        got = rows(fused_fold(e, x, x, P.layout_literal(), d=4, strategy="packed", parts=t))
+        assert got.keys() == want.keys() and all(np.allclose(got[u], want[u]) for u in want)
+
+
+def plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_tiles_carry_no_features_with_edges(fixture):
+    """What is shuffled are rows of features, rows of edges without any, and partial results."""
+    e, x, y, _ = fixture
+    z = fused_fold(e, x, y, P.sigmoid_embedding(), d=4, strategy="tiled", tiles=(3, 2))
+    plan = plan_of(z)
+    assert "Join" not in plan and plan.count("Exchange") == 2
+    tiles = plan[plan.index("Union") :]
+    assert tiles.count("Exchange") == 0 and tiles.count("Generate explode") == 2
+
+
+def test_wide_results_stay_in_generated_code(spark):
+    from edgefold.sources import features
+
+    ids = spark.range(20).select("id")
+    e = spark.range(60).select((F.col("id") % 6).alias("u"), (F.col("id") % 20).alias("v"), F.lit(1.0).alias("a"))
+    x = features.hashed(ids, 80)
+    z = fused_fold(e, x, x, P.sigmoid_embedding(), d=80, strategy="relational", how="broadcast")
+    got, want = rows(z), rows(fused_fold(e, x, x, P.sigmoid_embedding(), d=80, strategy="packed"))
+    assert got.keys() == want.keys() and all(np.allclose(z0, want[u]) for u, z0 in got.items())
+    partial = [line for line in plan_of(z).split("Initial Plan")[0].splitlines() if "partial_sum" in line]
+    assert partial and all(line.count("partial_sum") <= 32 and "*(" in line for line in partial)
+
+
+def test_dense_reference_makes_all_products(fixture):
+    e, x, y, _ = fixture
+    z = two_phase.dense_reference(e, x, y, P.layout_literal(), d=4)
+    plan = plan_of(z)
+    assert ("CartesianProduct" in plan or "BroadcastNestedLoopJoin" in plan) and "SortMergeJoin" in plan or "BroadcastHashJoin" in plan
+    assert plan.index("OuterJoin" if "OuterJoin" in plan else "LeftOuter") >= 0
+    want = rows(fused_fold(e, x, y, P.layout_literal(), d=4, strategy="relational"))
+    assert {u: pytest.approx(v) for u, v in want.items()} == rows(z)
+
+
+def test_products_in_blocks_are_exact(spark, sf):
+    from edgefold.sources import features, graphs
+
+    x = features.real(spark, sf).limit(300).persist()
+    key = lambda df: sorted((r["u"], r["v"], round(r["a"], 9)) for r in df.collect())
+    assert key(graphs.knn(x, 5, block=70)) == key(graphs.knn(x, 5)) and graphs.knn(x, 5).count() == 1500
+    assert key(E.similar_pairs(x, 0.2, block=70)) == key(E.similar_pairs(x, 0.2)) != []
+    assert E.similar_pairs(x.limit(0), 0.2, block=70).collect() == []
+
+
 def test_costs():
     assert cost.roofline(cost.intensity(76.28, 128), 100) == pytest.approx(95.27, abs=0.01)
     assert cost.intensity(1, 1) == pytest.approx(1 / 6)
@@ -161,8 +305,43 @@ def test_invariants(spark, sf):
 def test_tuning_keeps_the_answer(fixture, tmp_path):
     e, x, y, _ = fixture
     cache = str(tmp_path / "plans.json")
-    best = planner.tune(e, x, y, P.graph_conv(), 4, [("relational", None), ("packed", 64)], rows=1.0, cache=cache)
-    assert best.strategy in ("relational", "packed") and planner.tune(e, x, y, P.graph_conv(), 4, [], cache=cache) == best
+    plans = [planner.Plan("relational"), planner.Plan("packed", parts=2, block=1 << 10), planner.Plan("tiled", tiles=(2, 2))]
+    best = planner.tune(e, x, y, P.graph_conv(), 4, plans, rows=1.0, repeats=1, cache=cache)
+    assert best.strategy in ("relational", "packed", "tiled") and planner.tune(e, x, y, P.graph_conv(), 4, [], cache=cache) == best
+    assert planner.choose(E.clean(e), y, 4, P.graph_conv(), tuned=cache) == best and planner.machine() in open(cache).read()
+    want = rows(fused_fold(e, x, y, P.graph_conv(), d=4, strategy="relational"))
+    assert {u: pytest.approx(z) for u, z in want.items()} == rows(fused_fold(e, x, y, P.graph_conv(), d=4, tuned=cache))
+
+
+def test_plans_by_size(fixture, spark):
+    e, x, y, _ = fixture
+    assert planner.choose(e, y, 4, P.graph_conv()).strategy == "relational"
+    assert planner.choose(e, y, 4, P.graph_conv(), batch=True).strategy == "packed"
+    small = planner.choose(e, y, 4, P.graph_conv(), limit=1)
+    assert small.strategy in ("tiled", "relational")
+    big = planner.choose_by_bytes(5 * 10**10, 5 * 10**10, 2 * 10**12, 128, executors=1000, memory=1 << 37)
+    assert big["strategy"] != "edge_join" and all(k >= 1 for k in big["tiles"])
+    assert planner.grid(16, True) == (4, 4) and planner.grid(7, False) == (7, 1)
+
+
+def test_measures(spark, fixture):
+    from edgefold.plans import measure
+
+    e, x, y, _ = fixture
+    make = lambda: fused_fold(e, x, y, P.graph_conv(), d=4, strategy="relational")
+
+    def fails():
+        raise MemoryError
+
+    times = measure.time_kernels({"fused": make, "broken": fails}, n=2)
+    assert times["fused"] > 0 and times["broken"] is None
+    swept = measure.sweep([1, 2], lambda k: {"fused": make, "two_phase": lambda: two_phase.two_phase(e, x, y, P.graph_conv(), d=4)}, n=1)
+    assert set(swept) == {1, 2} and swept[1]["speedup"] > 0
+    with measure.Moved(spark) as moved:
+        two_phase.two_phase(e, x, y, P.graph_conv(), d=4).collect()
+    assert moved.bytes["outputBytes"] > 0 and measure.peak_memory(spark, make)["stored_mb"] >= 0
+    assert measure.bandwidth(8, 1) > 0 and measure.rates(1000, 8, 10, 0.1, 10.0)["achieved"] > 0
+    assert measure.scaling("import json, os; print(json.dumps({'p': int(os.environ['CORES'])}))", [1, 2]) == {1: {"p": 1}, 2: {"p": 2}}
 
 
 def test_edge_files(spark, tmp_path):
