@@ -18,6 +18,7 @@ each, and learned from once if their texts are equal too; an empty table gives n
 from __future__ import annotations
 
 import re
+from collections import Counter
 
 import numpy as np
 import pandas as pd
@@ -25,13 +26,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from edgefold.llm.shared import long_id, prepare, table
+from edgefold.llm.shared import long_id, prepare, settle, table
 
 SAMPLE_DOCS = 1_500
 ROUNDS = 4
+#: Languages whose numbers of documents are sent to all tasks; more are joined by shuffles.
+SHIPPED_LANGUAGES = 100_000
 UNDETERMINED = "und"
-#: Words with more letters are summed in logs.
-LINEAR_CHARS = 24
+#: Words with more letters are summed in logs; with more yet, in blocks of letters side by side.
+LINEAR_CHARS, BLOCKED_CHARS, BLOCK = 24, 512, 256
+#: Letters of a word that are learned from together: longer words are learned from in parts.
+TRAIN_CHARS = 1_000
 #: Numbers of pieces that a lattice of words of one length holds at a time.
 LATTICE = 1 << 22
 _WORD = re.compile(r"[^\W\d_]+")
@@ -56,6 +61,11 @@ def words_of(text: str) -> list[str]:
     return _WORD.findall(text.lower())
 
 
+def _parts(text: str) -> list[str]:
+    """Words to learn from, long ones in parts."""
+    return [w[a : a + TRAIN_CHARS] for w in words_of(text) if w.isalpha() for a in range(0, len(w), TRAIN_CHARS)]
+
+
 class Pieces:
     """Piece numbers in words; 0 stands for a letter that is no piece."""
 
@@ -71,6 +81,14 @@ class Pieces:
         get = self.number.get
         for length, those in by_length.items():
             most = min(length, self.longest)
+            if length > BLOCKED_CHARS:
+                for i in those:
+                    w, ids = words[i], np.full((1, length, most), -1, dtype=np.int32)
+                    for k in range(1, most + 1):
+                        ids[0, k - 1 :, k - 1] = [get(w[a : a + k], -1) for a in range(length - k + 1)]
+                    ids[:, :, 0] = np.maximum(ids[:, :, 0], 0)
+                    yield np.asarray([i]), ids
+                continue
             spans = [(e - k, e) if e >= k else (0, 0) for e in range(1, length + 1) for k in range(1, most + 1)]
             step = max(1, LATTICE // len(spans))
             for at in (those[a : a + step] for a in range(0, len(those), step)):
@@ -102,6 +120,8 @@ def log_sums(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
         return np.concatenate([log_sums(ids[a : a + step], prob) for a in range(0, n, step)])
     if length <= LINEAR_CHARS:
         return np.log(np.maximum(forward(ids, prob)[:, -1], 1e-300))
+    if length > BLOCKED_CHARS:
+        return np.stack([_log_sum_in_blocks(word, prob) for word in ids])
     total, last = np.zeros((n, prob.shape[1])), np.ones((most, n, prob.shape[1]))  # last[k - 1]: k letters back
     for e in range(1, length + 1):
         grown = np.zeros_like(total)
@@ -114,6 +134,43 @@ def log_sums(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
     return total
 
 
+def _log_sum_in_blocks(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
+    """As log_sums, for one long word. The sums of the last few prefixes after a block of letters are linear in those before it:
+    the blocks' matrices are worked out side by side and then applied in order."""
+    length, most = ids.shape
+    languages = prob.shape[1]
+    state, total = np.zeros((most, languages)), np.zeros(languages)  # sums of the prefixes 0, 1, ... letters back
+    state[0] = 1
+    head = length % BLOCK
+    for e in range(head):
+        state = np.concatenate([(state * prob[ids[e]]).sum(axis=0)[None], state[:-1]])
+        top = state.max(axis=0)
+        state, total = state / top, total + np.log(top)
+    together = max(1, LATTICE // (most * most * max(1, languages)))
+    blocks = ids[head:].reshape(-1, BLOCK, most)
+    for at in range(0, len(blocks), together):
+        some = blocks[at : at + together]
+        sums = [np.zeros((len(some), most, languages)) for _ in range(most)]  # by letters back: blocks, start, language
+        for j in range(most):
+            sums[j][:, j] = 1
+        logs = np.zeros((len(some), 1, languages))
+        for e in range(BLOCK):
+            p = prob[some[:, e]]
+            new = sums[0] * p[:, 0, None]
+            for k in range(1, most):
+                new += sums[k] * p[:, k, None]
+            sums = [new, *sums[:-1]]
+            if e % 16 == 15:
+                top = np.maximum(np.max([s.max(axis=1, keepdims=True) for s in sums], axis=0), 1e-300)
+                sums, logs = [s / top for s in sums], logs + np.log(top)
+        step = np.stack(sums)
+        for b in range(len(some)):
+            state = np.einsum("kjl,jl->kl", step[:, b], state)
+            top = state.max(axis=0)
+            state, total = state / top, total + np.log(top) + logs[b, 0]
+    return total + np.log(np.maximum(state[0], 1e-300))
+
+
 def log_prefixes(ids: np.ndarray, prob: np.ndarray) -> np.ndarray:
     """The log of the sum over all segmentations of each prefix, for one language: (words, length + 1)."""
     n, length, most = ids.shape
@@ -224,19 +281,18 @@ def train(docs: DataFrame, *, pieces: str | None = None, sample_docs: int = SAMP
     hashed = F.xxhash64("doc_id", "text").alias("h")
     known = docs.where("lang IS NOT NULL AND text IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", "lang", "text", hashed)
     # A bound on the hash that leaves a few times the wanted documents of each language, before ranking these.
-    sizes = known.groupBy("lang").agg(F.count("*").alias("n"))
+    sizes = settle(known.groupBy("lang").agg(F.count("*").alias("n")))
+    sizes = F.broadcast(sizes) if sizes.count() <= SHIPPED_LANGUAGES else sizes
     share = F.least(F.lit(1.0), 3.0 * sample_docs / F.col("n")) * 2.0**64 - 2.0**63
     some = known.select("doc_id", "lang", "h").join(sizes, "lang").where(F.col("h").cast("double") <= share)
     rank = F.row_number().over(Window.partitionBy("lang").orderBy("h", "doc_id"))
     chosen = some.select("doc_id", "lang", "h").distinct().withColumn("rank", rank).where(F.col("rank") <= sample_docs).drop("rank")
 
     def run(batches):
-        from collections import Counter
-
         for b in batches:
             counts: dict[str, Counter] = {}
             for language, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                counts.setdefault(language, Counter()).update(w for w in words_of(text.as_py()) if w.isalpha())
+                counts.setdefault(language, Counter()).update(_parts(text.as_py()))
             rows = [(k, w, n) for k, c in counts.items() for w, n in c.items()]
             yield pa.RecordBatch.from_pandas(pd.DataFrame(rows, columns=["lang", "word", "n"]), pa.schema([("lang", pa.string()), ("word", pa.string()), ("n", pa.int64())]))
 

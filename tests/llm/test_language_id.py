@@ -40,9 +40,9 @@ def test_long_words_are_summed_whole(monkeypatch):
     for e in range(1, len(word) + 1):
         ways = [(word[e - k : e], exact[e - k]) for k in range(1, min(e, 3) + 1)]
         exact.append(sum((Fraction(prob[lattice.number.get(w, 0)]) * f for w, f in ways if w in lattice.number or len(w) == 1), Fraction(0)))
-    for repeat in (1, 30):
+    for repeat in (1, 8, 9, 30):
         (_, ids), = lattice.lattices([word * repeat])
-        assert ids.shape[1] == 60 * repeat
+        assert ids.shape[1] == 60 * repeat and (repeat < 9 or ids.shape[1] > li.BLOCKED_CHARS)
         got = li.log_sums(ids, prob[:, None])[0, 0]
         assert got == pytest.approx(li.log_prefixes(ids, prob)[0, -1])
         if repeat == 1:
