@@ -10,8 +10,8 @@ suffixes scanned between the two that placed them.
 The sampled suffixes are sorted by recursion: the same induction sorts the stretches between sampled positions, equal
 stretches get equal names, and the sequence of names is sorted in turn, until names are unique (or most are, and the
 rest fits into memory: these are told apart by what follows). A text of names has too
-many symbols for a list each: its queue holds what fits into memory and writes the rest as runs in order of symbols,
-which are merged when they are read. Prefixes are carried on the lowest level alone, which asks for them.
+many symbols for a list each: while memory allows, its suffixes are placed all at once, by ranks; beyond it, its queue
+holds what fits into memory and writes the rest as runs in order of symbols, which are merged when they are read. Prefixes are carried on the lowest level alone, which asks for them.
 
 A sort has `limit` bytes for what grows with its text. Arrays beyond it lie in files, queues beyond it spill, scans work
 in pieces, and results come as a stream, so a text may be far larger than memory. Shared prefixes are counted up to a
@@ -26,12 +26,14 @@ from collections.abc import Iterator
 import numpy as np
 
 #: Bytes for what grows with the text; beyond it, arrays and tuples go to disk.
-LIMIT = 16 << 20
+LIMIT = 64 << 20
 #: Suffixes that a scan meets at a time.
 PIECE = 1 << 18
 #: Names that occur so many times or fewer on average end the recursion, if what that takes fits into memory; and bytes
 #: that always do.
 ALONE, FEW = 1.5, 1 << 14
+#: Bytes for each name that inducing at once takes.
+AT_ONCE = 80
 
 
 class Room:
@@ -268,6 +270,10 @@ class _Scan:
         at, symbol = ok[order], symbol[order]
         first = np.ones(len(at), dtype=bool)
         first[1:] = symbol[1:] != symbol[:-1]
+        if self.cap == 1:  # prefixes are not asked for
+            heads = np.flatnonzero(first)
+            self._place(symbol[heads].tolist(), heads, before[at], np.zeros(len(at), dtype=np.uint8))
+            return
         low = np.empty(len(at), dtype=np.int64)
         low[0], low[1:] = 0, at[:-1] + 1
         low[first] = 0
@@ -286,8 +292,10 @@ class _Scan:
         if rest.any():
             self.since[present[rest]] = minima.of(tails[rest] + 1, np.full(int(rest.sum()), len(shared) - 1))
         self.fresh[present] = False
-        placed = before[at]
-        for s, a, e in zip(present.tolist(), heads.tolist(), ends.tolist(), strict=True):
+        self._place(present.tolist(), heads, before[at], carried)
+
+    def _place(self, symbols: list[int], heads: np.ndarray, placed: np.ndarray, carried: np.ndarray) -> None:
+        for s, a, e in zip(symbols, heads.tolist(), [*heads[1:].tolist(), len(placed)], strict=True):
             self.queue.put(s, placed[a:e], carried[a:e])
 
 
@@ -302,7 +310,7 @@ def _first_symbols(text: np.ndarray, sampled: np.ndarray, symbols: int) -> np.nd
 def induce(text, smaller, sampled, shared, symbols: int, cap: int, room: Room) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """All suffixes from the sampled ones, the largest first: positions, and the prefix each shares with the one before.
 
-    sampled must be in order; shared (with the sampled suffix before) belongs to it.
+    sampled must be in order; shared (with the sampled suffix before) belongs to it. With a cap of 1, prefixes mean nothing.
     """
     cuts = _first_symbols(text, sampled, symbols)
     larger, kept = [[] for _ in range(symbols)], Spool(room, 0)
@@ -346,7 +354,13 @@ def induce(text, smaller, sampled, shared, symbols: int, cap: int, room: Room) -
 
 
 def induce_names(text, smaller, sampled, symbols: int, room: Room, level: int) -> Iterator[np.ndarray]:
-    """Positions of all suffixes of a text of very many symbols, the largest first, from the sampled ones in order."""
+    """Positions of all suffixes of a text of very many symbols, the largest first, from the sampled ones in order.
+
+    Texts that leave memory enough are induced at once; others through queues on disk.
+    """
+    if len(text) * AT_ONCE <= room.limit:
+        yield _induce_at_once(text, smaller, sampled)[::-1]
+        return
     t, small, n = memoryview(text), memoryview(smaller), len(text)
     cuts = _first_symbols(text, sampled, symbols).tolist()
     bounds = room.array(symbols + 1, np.int64, level)
@@ -424,6 +438,40 @@ def induce_names(text, smaller, sampled, symbols: int, room: Room, level: int) -
     room.give_back(bounds, larger)
 
 
+def _induce_at_once(text, smaller, sampled) -> np.ndarray:
+    """All suffixes in order. What a scan places is ordered by its symbol and then by the suffix that places it, a position
+    later; so ranks by symbol are refined by the ranks of what is 1, 2, 4 positions later, until all differ."""
+    t, n = np.asarray(text, dtype=np.int64), len(text)
+
+    def ranks(fixed: np.ndarray, free: np.ndarray, late: bool) -> np.ndarray:
+        """fixed: in order; free: placed by these, before (or late: after) those of their symbol. The text's end is least."""
+        items = np.concatenate([fixed, free] if late else [free, fixed])
+        items = items[np.argsort(t[items], kind="stable")]
+        rank, is_free = np.zeros(n + 1, dtype=np.int64), np.zeros(n, dtype=bool)
+        rank[items], is_free[free] = np.arange(1, len(items) + 1), True
+        at, symbol = np.flatnonzero(is_free[items]), t[items]
+        tied, step = items[at], 1
+        head = np.concatenate([[True], symbol[at[1:]] != symbol[at[:-1]]])[: len(at)]
+        rank[tied] = np.maximum.accumulate(np.where(head, at, 0)) + 1
+        while len(tied):
+            a, b = rank[tied], rank[tied + step]
+            order = np.lexsort((b, a))
+            tied, a, b = tied[order], a[order], b[order]
+            group = np.concatenate([[True], a[1:] != a[:-1]])
+            new = group | np.concatenate([[True], b[1:] != b[:-1]])
+            here = np.arange(len(tied))
+            rank[tied] = a + np.maximum.accumulate(np.where(new, here, 0)) - np.maximum.accumulate(np.where(group, here, 0))
+            tied = tied[~(new & np.concatenate([new[1:], [True]]))]
+            step *= 2
+        return rank
+
+    larger = np.flatnonzero(~smaller)
+    larger = larger[np.argsort(ranks(np.asarray(sampled), larger, False)[larger])]
+    out = np.empty(n, dtype=sampled.dtype)
+    out[ranks(larger, np.flatnonzero(smaller), True)[:n] - 1] = np.arange(n)
+    return out
+
+
 def _sampled(smaller: np.ndarray, kind, room: Room, level: int) -> np.ndarray:
     """Positions of suffixes that are smaller than their successor and follow one that is not."""
     n, at = len(smaller) - 1, 0

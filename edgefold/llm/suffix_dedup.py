@@ -131,8 +131,20 @@ def _settle_copies(batches):
     def batch(rows: np.ndarray, gone: np.ndarray):
         return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip([*rows, gone], _KINDS, strict=True)], _NAMES)
 
-    for b in batches:
-        rows = np.stack([b.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(8)])
+    def many():
+        """Batches put together: they are small, as those of texts must be."""
+        held, size = [], 0
+        for b in batches:
+            held.append(b)
+            size += b.num_rows
+            if size >= 1 << 16:
+                yield pa.Table.from_batches(held).combine_chunks()
+                held, size = [], 0
+        if size:
+            yield pa.Table.from_batches(held).combine_chunks()
+
+    for b in many():
+        rows = np.stack([b.column(i).to_numpy().astype(np.int64) for i in range(8)])
         known = rows[7].astype(bool)
         if known.any():
             yield batch(rows[:7, known], known[known])

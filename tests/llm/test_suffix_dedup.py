@@ -125,6 +125,21 @@ def test_odd_rows(spark):
     assert sd.repeats(df.limit(0)).collect() == [] and sd.remove_repeats(df.limit(0)).collect() == []
 
 
+def test_names_are_induced_alike_at_once_and_through_queues():
+    draw = np.random.default_rng(21)
+    for it in range(150):
+        n, k = int(draw.integers(2, 200)), int(draw.integers(1, 12))
+        names = draw.integers(0, k, n)
+        if it % 4 == 0:
+            names = np.tile(names[:3], 40)
+        if it % 7 == 0:
+            names = np.repeat(names[:9], 11)
+        names = np.unique(names, return_inverse=True)[1].astype(np.int32)
+        want = sorted(range(len(names)), key=lambda i: names[i:].tolist())
+        for limit in (1 << 20, 0):
+            assert induced_sort.sort_names(names, int(names.max()) + 1, induced_sort.Room(limit)).tolist() == want
+
+
 def joined_of(contexts, limit):
     import pyarrow as pa
 
