@@ -9,7 +9,8 @@ Draws come from 16 bits of a hash each through tables of quantiles, so scores ar
 every batch, and equal texts have equal fingerprints.
 
 Defined cases: null and empty texts have the fingerprint of zeros and are alike to each other only; rows are ordered by
-doc_id, then text, nulls first; the next document of the last is the first; a lone document is its own next; an
+doc_id, nulls first, and those that repeat an id by the first 64 characters of their texts, a hash of these and the
+texts; the next document of the last is the first; a lone document is its own next; an
 empty table gives no rows; columns other than doc_id and text are ignored.
 """
 
@@ -24,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgefold.llm.shared import long_id, partitions, prepare, table
+from edgefold.llm.shared import long_id, partitions, prepare, settle, table
 
 SAMPLES = 64
 _LEVELS = 1 << 16
@@ -143,40 +144,46 @@ def fingerprints(docs: DataFrame, *, samples: int = SAMPLES) -> DataFrame:
 
 
 def with_next(docs: DataFrame) -> DataFrame:
-    """doc_id and text in ranges of doc_id, sorted, one range to a partition, with the first row of the next range last.
+    """doc_id and text in ranges of the order, sorted, one range to a partition, with the first row of the next range last.
 
-    Columns: part, own (false for the row that belongs to the next range), doc_id, text. Range bounds are ids that exist,
-    from quantiles of the ids alone; texts are shuffled once.
+    Columns: part, own (false for the row that belongs to the next range), doc_id, text. Range bounds are places that
+    exist, from quantiles of the places alone; texts are shuffled once. A row's place is its doc_id; where ids repeat,
+    rows are sorted and settled first, in ranges that cut through the rows of one id, and have a place of their own.
     """
     spark = docs.sparkSession
     prepare(spark)
     docs = long_id(docs.select("doc_id", "text"), "doc_id")
     n = partitions(spark)
+    if docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 OR doc_id IS NULL").isEmpty():
+        return _with_next(docs.withColumn("place", F.col("doc_id")), n)
+    by = ["doc_id", F.substring("text", 1, 64), F.xxhash64("text")]
+    tie = docs.withColumn("tie", F.monotonically_increasing_id())
+    ranged = tie.repartitionByRange(n, *by, "tie").sortWithinPartitions(*by, "text", "tie")
+    return _with_next(settle(ranged).select("doc_id", "text", F.monotonically_increasing_id().alias("place")), n)
+
+
+def _with_next(docs: DataFrame, n: int) -> DataFrame:
+    """docs: doc_id, text, and place, which tells all rows and is never null."""
     share = F.array(*[F.lit((i + 1) / n) for i in range(n - 1)] or [F.lit(0.5)])
-    seen = docs.agg(F.percentile_approx("doc_id", share, F.lit(max(1000, 20 * n))).alias("q"), F.min("doc_id").alias("low"), F.count("*").alias("n"), F.count("doc_id").alias("ids")).first()
-    bounds = sorted(set(seen["q"] or []) - {seen["low"]})
-    if seen["ids"] < seen["n"]:
-        bounds = sorted({*bounds, seen["low"]} - {None})
-    starts = np.asarray(bounds, dtype=np.int64)
-    ranges = len(starts) + 1
+    seen = docs.agg(F.percentile_approx("place", share, F.lit(max(1000, 20 * n))).alias("q"), F.min("place").alias("low")).first()
+    starts = np.asarray(sorted(set(seen["q"] or []) - {seen["low"]}), dtype=np.int64)
+    ranges, low = len(starts) + 1, seen["low"]
 
     @F.pandas_udf("array<int>")
-    def places(ids):
+    def parts(places):
         import pandas as pd
 
-        known = ids.notna()
-        part = np.searchsorted(starts, ids.fillna(0).astype("int64").to_numpy(), side="right")
-        part[~known.to_numpy()] = 0
-        first = np.zeros(len(ids), dtype=bool)
+        at = places.to_numpy(dtype=np.int64)
+        part = np.searchsorted(starts, at, side="right")
+        first = at == low
         if len(starts):
-            values = ids.fillna(0).astype("int64").to_numpy()
-            first = known.to_numpy() & (part > 0) & (starts[np.maximum(part - 1, 0)] == values)
-        low = ~known.to_numpy() if seen["ids"] < seen["n"] else ids.fillna(0).to_numpy() == (seen["low"] or 0)
-        return pd.Series([[p] if not f else [p, (p - 1) % ranges] for p, f in zip(part.tolist(), (first | low).tolist(), strict=True)])
-
-    dealt = docs.select("doc_id", "text", F.posexplode(places("doc_id")).alias("copy", "part"))
-    dealt = dealt.select("part", (F.col("copy") == 0).alias("own"), "doc_id", "text")
-    return dealt.repartitionById(ranges, F.col("part")).sortWithinPartitions(F.col("own").desc(), "doc_id", "text")
+            first |= (part > 0) & (starts[np.maximum(part - 1, 0)] == at)
+        return pd.Series([[p] if not f else [p, (p - 1) % ranges] for p, f in zip(part.tolist(), first.tolist(), strict=True)])
+
+    dealt = docs.select("doc_id", "text", "place", F.posexplode(parts("place")).alias("copy", "part"))
+    dealt = dealt.select("part", (F.col("copy") == 0).alias("own"), "doc_id", "text", "place")
+    dealt = dealt.repartitionById(ranges, F.col("part")).sortWithinPartitions(F.col("own").desc(), "place")
+    return dealt.select("part", "own", "doc_id", "text")
 
 
 def edited(text: str, following: str) -> str:

@@ -46,3 +46,25 @@ def test_odd_rows(spark):
     none = tx.train(docs, tx.known_labels(labels.limit(0)))
     assert tx.keep_clean(docs, none).count() == 63
     assert tx.keep_clean(docs.limit(0), none).collect() == []
+
+
+def test_whole_table_against_a_plain_chain(spark, sf):
+    from test_pipeline import plain_probability
+
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), tx.known_labels(spark.read.parquet(f"{sf}/labels.parquet"))
+    chain, text = tx.train(docs, labels), {r["doc_id"]: r["text"] for r in docs.collect()}
+    rows = tx.op9_toxicity(spark, sf).collect()
+    assert sorted(r["doc_id"] for r in rows) == sorted(text)
+    for r in rows:
+        p = plain_probability(text[r["doc_id"]], chain)
+        assert r["p_toxic"] == pytest.approx(p, abs=1e-4) and r["rejected"] == (r["p_toxic"] >= tx.THRESHOLD)
+
+
+def test_labels_that_disagree(spark):
+    docs = spark.createDataFrame([(i, "bad" if i % 2 else "good") for i in range(40)], "doc_id long, text string")
+    labels = [(i, 0, 0) for i in range(40)] + [(i, 0, 1) for i in range(40) if i % 2] + [(2, 0, None)]
+    df = spark.createDataFrame(labels, "doc_id long, low_quality int, toxic int")
+    one, other = (tx.train(docs, df.repartition(n)) for n in (1, 5))
+    assert [m.tolist() for m in one.models] == [m.tolist() for m in other.models]
+    got = {r["doc_id"]: r["toxic"] >= 0.5 for r in tx.predict(docs, one).collect()}
+    assert got == {i: i % 2 == 1 for i in range(40)}

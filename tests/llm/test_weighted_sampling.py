@@ -23,6 +23,43 @@ def test_collision_rate_is_generalised_jaccard():
         assert (codes[0] == codes[1]).mean() == pytest.approx(jaccard(a, b), abs=0.05)
 
 
+def plain_signature(text, sampler):
+    """Sample by sample and word by word."""
+    import xxhash
+
+    f, out = np.float32, []
+    words = sorted((xxhash.xxh64_intdigest(w), n) for w, n in Counter((text or "").encode().lower().split()).items())
+    for j in range(sampler.samples):
+        best = None
+        for h, n in words:
+            x = h * int(sampler.salt[j]) % 2**64
+            x ^= x >> 29
+            x = x * 0xBF58476D1CE4E5B9 % 2**64
+            x ^= x >> 32
+            r, beta, log_c = sampler.rate[x & 0xFFFF], sampler.beta[x >> 16 & 0xFFFF], sampler.log_c[x >> 32 & 0xFFFF]
+            up = np.floor(f(np.log(float(n))) / r + beta) if n > 1 else f(0)
+            score = log_c - r * (up - beta + f(1)) if n > 1 else log_c - r * (f(1) - beta)
+            if best is None or score < best[0]:
+                best = (score, max(1, ((h & 0xFFFFFFFF) + 1 + int(up) * 0x9E3779B1) % 2**32))
+        out.append(best[1] if best else 0)
+    return out
+
+
+def test_signatures_are_those_of_a_plain_version():
+    sampler, draw = ws.Sampler.made(32), np.random.default_rng(3)
+    texts = [" ".join(f"w{i}" for i in draw.zipf(1.4, n).clip(max=60)) for n in (1, 5, 40, 300)] + ["", None, "é É e", "a " * 70_000]
+    codes = sampler.signatures([ws.weighted_set(t, {}) for t in texts])
+    assert codes.tolist() == [plain_signature(t, sampler) for t in texts]
+
+
+def test_rows_of_one_id_are_in_many_ranges(spark):
+    rows = [(None, f"{i:04} a b {i % 7}") for i in range(300)] + [(5, f"z{i % 3} c") for i in range(100)] + [(6, "end")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    check(ws.likeness_to_next(df).collect(), rows)
+    sizes = [r["count"] for r in ws.with_next(df).groupBy("part").count().collect()]
+    assert len(sizes) > 2 and max(sizes) < 200
+
+
 def test_gamma_tables():
     sampler = ws.Sampler.made(8)
     assert sampler.rate.mean() == pytest.approx(2, abs=0.01) and sampler.rate.var() == pytest.approx(2, abs=0.03)
