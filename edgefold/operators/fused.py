@@ -80,11 +80,16 @@ def _start(program: Program, z: Column) -> Column:
 
 
 def _present(df: DataFrame, name: str, missing: str, key: str) -> DataFrame:
-    """After an outer join: stop where the features are null, if missing is an error."""
+    """After an outer join: stop where the features are null, if missing is an error.
+
+    A filter, so that the features themselves stay plain columns, and not a deterministic one: the optimiser would try a
+    deterministic one on a row of nulls.
+    """
     if missing != "error":
         return df
+    lost = F.col(name).isNull() & (F.spark_partition_id() >= 0)
     stop = F.raise_error(F.concat(F.lit(f"an edge's {key} has no features: "), F.col(key).cast("string")))
-    return df.withColumn(name, F.when(F.col(name).isNull(), stop.cast(df.schema[name].dataType)).otherwise(F.col(name)))
+    return df.where(F.when(lost, stop.cast("boolean")).otherwise(F.lit(True)))
 
 
 def gather(edges: DataFrame, features: DataFrame, key: str, name: str, how: str = "auto", missing: str = "drop") -> DataFrame:
