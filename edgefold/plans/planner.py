@@ -23,6 +23,8 @@ from edgefold.plans.program import ASSOCIATIVE, Program
 #: Multiplications from which Python workers pay.
 PACKED_WORK = 2_000_000
 BROADCAST_BYTES = 256 << 20
+#: Edges from which parts with equally many of them pay for the jobs that find their bounds.
+BALANCED_EDGES = 50_000_000
 #: Edges of one neighbour, as a share of all, from which its features go to several places.
 HUB_SHARE = 0.01
 
@@ -70,7 +72,8 @@ def choose(edges: DataFrame, y: DataFrame, d: int, program: Program, *, batch: b
     if more_than(y, limit // (8 * d + 8)):
         return _at_scale(edges, y, d, program, batch)
     if batch or (d > 8 and more_than(edges, PACKED_WORK // d)):
-        return Plan("packed", parts=2 * edges.sparkSession.sparkContext.defaultParallelism)
+        many = more_than(edges, BALANCED_EDGES)
+        return Plan("packed", parts=2 * edges.sparkSession.sparkContext.defaultParallelism if many else None)
     return Plan("relational")
 
 
