@@ -13,6 +13,12 @@ def test_prefix_sum_with_columns_beside_the_sum(spark):
     assert got.where("id <> before").count() == 0 and got.count() == N
 
 
+def test_tiles_of_many_rows(spark):
+    got = ranks.tiles(spark.range(N, numPartitions=4).select(F.col("id").alias("u"), (F.col("id") % 3).alias("deg")), ["deg", "u"], 4)
+    want = {u: k * 4 // N + 1 for k, u in enumerate(sorted(range(N), key=lambda u: (u % 3, u)))}
+    assert {r["u"]: r["tile"] for r in got.collect()} == want
+
+
 def test_equal_row_parts_of_many_rows(spark):
     parts = partition.equal_row_parts(spark.range(N, numPartitions=4).select(F.col("id").alias("u"), F.col("id").alias("v"), F.lit(1.0).alias("a")), 16)
     assert {r["u"]: r["part"] for r in parts.collect()} == {u: 16 * u // N for u in range(N)}
