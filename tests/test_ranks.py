@@ -22,3 +22,13 @@ def test_tiles_of_many_rows(spark):
 def test_equal_row_parts_of_many_rows(spark):
     parts = partition.equal_row_parts(spark.range(N, numPartitions=4).select(F.col("id").alias("u"), F.col("id").alias("v"), F.lit(1.0).alias("a")), 16)
     assert {r["u"]: r["part"] for r in parts.collect()} == {u: 16 * u // N for u in range(N)}
+
+
+def test_load_of_equal_row_parts(spark):
+    """Row u has u % 5 + 1 edges."""
+    rows = spark.range(N, numPartitions=4).select(F.col("id").alias("u"), F.explode(F.sequence(F.lit(0), F.col("id") % 5)).alias("v")).withColumn("a", F.lit(1.0))
+    load = [0] * 16
+    for u in range(N):
+        load[16 * u // N] += u % 5 + 1
+    got = partition.imbalance(partition.equal_row_parts(rows, 16), 16).first()
+    assert (got["nnz"], got["most"]) == (sum(load), max(load))
