@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import os
 import re
+import struct
 
 import numpy as np
 
@@ -16,10 +17,11 @@ import numpy as np
 CACHE_WORDS = 300_000
 #: One character that no word handed to the library in a joined batch holds.
 _MARK = "\x01"
-#: Words of unaccented and Latin-1 letters, perhaps with a comma or stop: lowering them letter by letter is safe, and
-#: what the letters give does not depend on the mark after them.
-_PLAIN = re.compile(rb"(?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+[,.]?\Z")
-_UPPER = re.compile(rb"[A-Z]|\xc3[\x80-\x9e]")
+#: Words of unaccented and Latin-1 letters, perhaps with ASCII punctuation after them: lowering them letter by letter is
+#: safe, and as the marks are a piece of their own, neither ids depend on the other's.
+_PLAIN = re.compile(rb"((?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+)([!-/:-@\[-`{-~]{0,8})\Z")
+#: Runs of punctuation whose ids a worker keeps at most.
+_ENDS = 100_000
 
 
 def _byte_letters() -> dict[int, str]:
@@ -54,7 +56,7 @@ class WordIds:
         mark = self._direct(_MARK)
         self.mark = mark[0] if len(mark) == 1 else None
         self.letters = _byte_letters()
-        self.ends = {c: self._pack(self._direct(c.decode())) for c in (b",", b".")}
+        self.ends = {b"": b""}
 
     @classmethod
     def opened(cls, path: str) -> WordIds:
@@ -70,18 +72,18 @@ class WordIds:
     def _pack(ids) -> bytes:
         return np.asarray(ids, dtype="<u4").tobytes()
 
-    def _learn(self, words: list[bytes]) -> None:
-        """Put the ids of unmet words into the cache.
+    def _learn(self, stems: list[bytes], words: list[bytes]) -> None:
+        """Put the ids of unmet stems and words into the cache.
 
-        Lower-case words of plain letters are a single pre-token, so the model gets them at once; others go through
-        the whole library, joined by a mark where they do not hold it.
+        Stems are lower-case plain letters, a single pre-token, so the model gets them at once; words go through the
+        whole library, joined by a mark where they do not hold it.
         """
-        joined, alone, model = [], [], self.library.model
+        tokenize, letters, young = self.library.model.tokenize, self.letters, self.young
+        for w in stems:
+            ids = [x.id for x in tokenize(w.decode() if w.isascii() else w.decode("latin-1").translate(letters))]
+            young[w] = struct.pack(f"<{len(ids)}I", *ids)
+        joined, alone = [], []
         for w in words:
-            if _PLAIN.match(w) and w[-1:] not in self.ends and not _UPPER.search(w):
-                found = model.tokenize(w.decode("latin-1").translate(self.letters))
-                self.young[w] = self._pack([x.id for x in found])
-                continue
             (joined if self.mark is not None and _MARK.encode() not in w and b"<|" not in w else alone).append(w)
         for at in range(0, len(joined), 2_000):
             some = joined[at : at + 2_000]
@@ -93,36 +95,50 @@ class WordIds:
                 continue
             raw = ids.tobytes()
             starts, ends = [0, *(cuts * 4 + 4).tolist()], [*(cuts * 4).tolist(), len(raw)]
-            self.young.update(zip(some, [raw[a:b] for a, b in zip(starts, ends, strict=True)], strict=True))
+            young.update(zip(some, [raw[a:b] for a, b in zip(starts, ends, strict=True)], strict=True))
         for w in alone:
-            self.young[w] = self._pack(self._direct(w.decode()))
+            young[w] = self._pack(self._direct(w.decode()))
 
-    def _stem(self, word: bytes) -> bytes:
-        return (word[:-1] if word[-1:] in self.ends else word).decode().lower().encode()
+    def _end(self, marks: bytes) -> bytes:
+        ids = self.ends.get(marks)
+        if ids is None:
+            ids = self._pack(self._direct(marks.decode()))
+            if len(self.ends) < _ENDS:
+                self.ends[marks] = ids
+        return ids
 
     def _meet(self, words: set[bytes]) -> None:
         """See that every word is in the young half of the cache."""
         if len(self.young) > CACHE_WORDS:
             self.old, self.young = self.young, {}
-        unmet = []
-        for w in words - self.young.keys():
-            ids = self.old.get(w)
+        young, old, plain = self.young, self.old, _PLAIN.match
+        stems, others, made, of, ends = set(), [], [], [], []
+        for w in words:
+            if w in young:
+                continue
+            ids = old.get(w)
             if ids is not None:
-                self.young[w] = ids
+                young[w] = ids
+                continue
+            found = plain(w)
+            if found is None:
+                others.append(w)
                 continue
-            if _PLAIN.match(w) and (w[-1:] in self.ends or _UPPER.search(w)):
-                stem = self._stem(w)
-                ids = self.young.get(stem) or self.old.get(stem)
+            stem, marks = found.groups()
+            stem = stem.lower() if stem.isascii() else stem.decode().lower().encode()
+            if stem != w:
+                made.append(w)
+                of.append(stem)
+                ends.append(self._end(marks))
+            if stem not in young:
+                ids = old.get(stem)
                 if ids is None:
-                    unmet.append(stem)
+                    stems.add(stem)
                 else:
-                    self.young[w] = ids + self.ends.get(w[-1:], b"")
-            else:
-                unmet.append(w)
-        if unmet:
-            self._learn(list(set(unmet)))
-        for w in words - self.young.keys():
-            self.young[w] = self.young[self._stem(w)] + self.ends.get(w[-1:], b"")
+                    young[stem] = ids
+        self._learn(list(stems), others)
+        for w, stem, end in zip(made, of, ends, strict=True):
+            young[w] = young[stem] + end
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each whole text. None counts as empty."""
