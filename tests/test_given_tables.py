@@ -13,7 +13,7 @@ def rows(found, columns):
     return sorted((tuple(clean(r[c]) for c in columns) for r in found), key=str)
 
 
-@pytest.mark.parametrize("name", ["rmat_g8", "graph_profile_g8", "sigmoid_embedding_g8", "program_checks", "moved_bytes"])
+@pytest.mark.parametrize("name", ["rmat_g8", "graph_profile_g8", "sigmoid_embedding_g8", "program_checks", "moved_bytes", "speedups"])
 def test_follows_the_tables(spark, name):
     seen = []
     for size in ("sf0.001", "sf0.01"):
